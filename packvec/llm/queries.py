@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from packvec.llm import decontaminate, html_extract, mixing, secret_scan, sharding, topk_search, url_filter
+from packvec.llm import decontaminate, html_extract, jaccard_join, mixing, secret_scan, sharding, substring_dedup, topk_search, toxicity, url_filter
 from packvec.llm.common import table
 
 SHARDS = 40
@@ -19,6 +19,11 @@ def op1_hash_tree_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.assign(placed, tree).select("doc_id", "size", "text_crc32", "law", "shard", "slot", "grown_shard")
 
 
+def op2_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    joined = jaccard_join.near_duplicates(table(spark, sf_dir, "documents"), n=4, num=85)
+    return joined.select(F.col("id").alias("doc_id"), "n_shingles", F.col("component").alias("component_id"))
+
+
 def op3_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = table(spark, sf_dir, "pages").select("page_id", "url")
     return url_filter.judge(pages, RULES).select("page_id", "host", "path", "rule", "verdict", "p_block")
@@ -48,4 +53,15 @@ def op8_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixed.select("doc_id", F.col("_size").alias("size"), F.col("_source_size").alias("source_size"), F.col("_target").alias("target"), (F.col("_size") * F.col("_copies")).alias("taken"))
 
 
-QUERIES = {f.__name__: f for f in (op1_hash_tree_sharding, op3_url_filter, op4_exact_topk, op5_secret_scan, op6_html_extraction, op7_decontamination, op8_mixing)}
+def op9_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    model = toxicity.learn(docs, table(spark, sf_dir, "labels"))
+    judged = toxicity.scored(docs, model, columns=["doc_id"])
+    return judged.select("doc_id", (toxicity.fold(F.col("doc_id")) == 2).alias("held_out"), "score", (F.col("score") >= 0.3).cast("int").alias("predicted"))
+
+
+def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substring_dedup.remove_repeats(table(spark, sf_dir, "documents"))
+
+
+QUERIES = {f.__name__: f for f in (op1_hash_tree_sharding, op2_jaccard_join, op3_url_filter, op4_exact_topk, op5_secret_scan, op6_html_extraction, op7_decontamination, op8_mixing, op9_toxicity, op10_substring_dedup)}

@@ -2,9 +2,9 @@
 
 For each class a model of order ORDER gives the probability of a word's characters. Its highest order has the counts of
 the class; all lower orders are continuation counts that both classes share, so that an expression neither class has
-seen often is judged alike by both. A word's evidence is the difference of its two log-likelihoods, in whole and by
-length; a document's are the strongest words' and the mean over its distinct words. A logistic regression, fitted on
-labelled rows the counts have not seen, turns these into a probability.
+seen often is judged alike by both. A word's evidence is the difference of its two log-likelihoods, in whole or by
+length; a document's are the two strongest words', the sum over a margin, that sum by length, and the mean over its
+distinct words. A logistic regression, fitted on labelled rows the counts have not seen, turns these into a probability.
 """
 
 from __future__ import annotations
@@ -20,11 +20,13 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 #: Characters of an n-gram; discount; labelled rows of each class that are learnt from at most; n-grams kept at most.
-ORDER, DISCOUNT, MAX_ROWS, MAX_GRAMS = 6, 0.75, 100_000, 1_000_000
+ORDER, DISCOUNT, MAX_ROWS, MAX_GRAMS = 4, 0.75, 100_000, 1_000_000
 #: Distinct words whose evidence a worker remembers.
 MEMORY = 300_000
 WORD = re.compile(r"\w+")
 LONGEST = 40
+#: Evidence of a word that counts towards the sum, and numbers that describe a document.
+MARGIN, FEATURES = 1.5, 6
 
 
 def distinct_words(text: str | None) -> set[str]:
@@ -93,23 +95,25 @@ class Model:
             out += math.log(toxic / ordinary)
         return out
 
-    def features(self, text: str | None) -> tuple[float, float, float, float]:
-        """The strongest word's evidence, the second's, the strongest by length, and the mean over distinct words."""
+    def features(self, text: str | None) -> tuple[float, ...]:
+        """The FEATURES of a text: what its distinct words say."""
         words, known = distinct_words(text), self.known
         if not words:
-            return (0.0, 0.0, 0.0, 0.0)
+            return (0.0,) * FEATURES
         if len(known) > MEMORY:
             known.clear()
-        best = second = by_length = total = 0.0
+        best = second = above = total = 0.0
         for w in words:
             x = known.get(w)
             if x is None:
                 known[w] = x = self.evidence(w)
             total += x
+            if x > MARGIN:
+                above += x - MARGIN
             if x > second:
                 best, second = (x, best) if x > best else (best, x)
-                by_length = max(by_length, x / (len(w) + 1))
-        return (best, second, by_length, total / len(words))
+        n = len(words)
+        return (best, second, above / math.sqrt(n + 10), math.log1p(above), total / n, math.log1p(n))
 
     def score(self, text: str | None) -> float:
         w = self.weights
@@ -180,14 +184,15 @@ def learn(docs: DataFrame, labels: DataFrame, id: str = "doc_id", text: str = "t
     kept = grams.orderBy(F.desc(F.col("toxic") + F.col("ordinary")), "gram").limit(MAX_GRAMS).toArrow()
     model = Model(zip(*(c.to_pylist() for c in kept.columns)))
     shared = docs.sparkSession.sparkContext.broadcast(model)
+    names = [f"f{i}" for i in range(FEATURES)]
 
     def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             x = [shared.value.features(t.as_py()) for t in batch.column(0)]
-            yield pa.RecordBatch.from_arrays([*(pa.array([r[i] for r in x], pa.float64()) for i in range(4)), batch.column(1)], names=["a", "b", "c", "d", "y"])
+            yield pa.RecordBatch.from_arrays([*(pa.array([r[i] for r in x], pa.float64()) for i in range(FEATURES)), batch.column(1)], names=[*names, "y"])
 
-    seen = rows.where(F.col("_fold") == 3).select("_text", "_y").mapInArrow(measure, "a double, b double, c double, d double, y int").toArrow().to_pandas().sort_values(["a", "b", "c", "d", "y"])
-    model.weights = logistic(seen[["a", "b", "c", "d"]].to_numpy(float), seen["y"].to_numpy(float)) if len(seen) else None
+    seen = rows.where(F.col("_fold") == 3).select("_text", "_y").mapInArrow(measure, ", ".join(f"{c} double" for c in names) + ", y int").toArrow().to_pandas().sort_values([*names, "y"])
+    model.weights = logistic(seen[names].to_numpy(float), seen["y"].to_numpy(float)) if len(seen) else None
     model.known = {}
     return model
 

@@ -24,6 +24,7 @@ HIDDEN = re.compile(r"""\bhidden\b|display\s*:\s*none|aria-hidden\s*=\s*["']?tru
 
 #: HTML element names by their part in a page.
 RAW = {"script", "style", "noscript", "template", "textarea", "svg", "math", "iframe", "object", "canvas", "title"}
+RAW_ENDS = {name: re.compile(rf"</{name}[^>]*>", re.I) for name in RAW}
 DROPPED = {"head", "button", "select", "option", "datalist"}
 VOID = {"area", "base", "br", "col", "embed", "hr", "img", "input", "link", "meta", "param", "source", "track", "wbr"}
 BLOCK = {"address", "article", "aside", "blockquote", "body", "caption", "center", "dd", "details", "dialog", "dir", "div", "dl", "dt", "fieldset", "figcaption", "figure", "footer", "form", "h1", "h2", "h3", "h4", "h5", "h6", "header", "hgroup", "hr", "html", "legend", "li", "main", "menu", "nav", "ol", "p", "pre", "section", "summary", "table", "tbody", "td", "tfoot", "th", "thead", "tr", "ul"}
@@ -56,26 +57,20 @@ class Page:
         self.blocks: list[Block] = []
         self.stack: list[tuple[str, int, str]] = []  # element, number, part: "", "bad", "good", "article", "outside", "dropped"
         self.words: list[str] = []
-        self.linked, self.number, end, skip = 0, 0, 0, None
-        for m in TAG.finditer(source):
-            if skip is None:
-                self.take(source[end : m.start()])
+        self.linked, self.number, end = 0, 0, 0
+        while m := TAG.search(source, end):
+            self.take(source[end : m.start()])
             end, name = m.end(), (m[2] or "").lower()
-            if skip is not None:
-                if name == skip and m[1]:
-                    skip = None
-                continue
             if not name:
                 continue
             if m[1]:
                 self.close(name)
-            elif name in RAW:
-                if not m[3].rstrip().endswith("/"):
-                    skip = name
-            else:
+            elif name not in RAW:
                 self.open(name, m[3])
-        if skip is None:
-            self.take(re.sub(r"<[a-zA-Z/!][^>]*\Z", "", source[end:]))
+            elif not m[3].rstrip().endswith("/"):  # what is inside is not markup
+                found = RAW_ENDS[name].search(source, end)
+                end = found.end() if found else len(source)
+        self.take(re.sub(r"<[a-zA-Z/!][^>]*\Z", "", source[end:]))
         self.flush()
 
     def take(self, text: str) -> None:

@@ -58,25 +58,26 @@ def mix(df: DataFrame, weights: Sequence[float] = (5, 2, 1), total_share: float
     size 0 and are taken floor(e) times or by place; repeated rows share a place and are taken alike; a source of size
     0 has target 0; an empty table gives an empty result; other columns pass through.
     """
-    own = df.withColumns({"_s": source_key(F.col(source)), "_size": word_count(F.col(text)), "_place": place(df, id, text, seed)})
-    sized = written(own.select("_s", F.col(source).alias("source"), "_size", "_place"), "sizes")
-    stats = sized.groupBy("_s", "source").agg(F.sum("_size").alias("source_size"))
-    wanted = targets(stats, weights, total_share, most).select("_s", "source_size", "target")
+    own = df.withColumns({"_pv_s": source_key(F.col(source)), "_pv_size": word_count(F.col(text)), "_pv_place": place(df, id, text, seed)})
+    sized = written(own.select("_pv_s", F.col(source).alias("source"), F.col("_pv_size").alias("_size"), "_pv_place"), "sizes")
+    stats = sized.groupBy("_pv_s", "source").agg(F.sum("_size").alias("source_size"))
+    wanted = targets(stats, weights, total_share, most).select("_pv_s", "source_size", "target")
     times = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(0.0)
     wanted = written(wanted.withColumn("times", F.floor(times)).withColumn("rest", F.col("target") - F.col("times") * F.col("source_size")), "targets")
 
-    units = sized.groupBy("_s", "_place").agg(F.sum("_size").alias("n")).withColumn("_g", F.substring("_place", 1, GROUP_DIGITS))
-    groups = units.groupBy("_s", "_g").agg(F.sum("n").alias("all"))
-    before = groups.select("_s", "_g", (F.sum("all").over(Window.partitionBy("_s").orderBy("_g")) - F.col("all")).alias("before"))
-    middle = F.col("before") + F.sum("n").over(Window.partitionBy("_s", "_g").orderBy("_place")) - F.col("n") / 2
-    reached = units.join(before, ["_s", "_g"]).withColumn("middle", middle).join(wanted, "_s").where(F.col("middle") <= F.col("rest"))
-    last = wanted.join(reached.groupBy("_s").agg(F.max("_place").alias("last")), "_s", "left").select(F.col("_s").alias("_t"), "source_size", "target", "times", F.when(F.col("rest") > 0, F.col("last")).alias("last"))
+    units = sized.groupBy("_pv_s", "_pv_place").agg(F.sum("_size").alias("n")).withColumn("_pv_g", F.substring("_pv_place", 1, GROUP_DIGITS))
+    groups = units.groupBy("_pv_s", "_pv_g").agg(F.sum("n").alias("all"))
+    before = groups.select("_pv_s", "_pv_g", (F.sum("all").over(Window.partitionBy("_pv_s").orderBy("_pv_g")) - F.col("all")).alias("before"))
+    middle = F.col("before") + F.sum("n").over(Window.partitionBy("_pv_s", "_pv_g").orderBy("_pv_place")) - F.col("n") / 2
+    reached = units.join(before, ["_pv_s", "_pv_g"]).withColumn("middle", middle).join(wanted, "_pv_s").where(F.col("middle") <= F.col("rest"))
+    last = wanted.join(reached.groupBy("_pv_s").agg(F.max("_pv_place").alias("last")), "_pv_s", "left").select(F.col("_pv_s").alias("_pv_t"), F.col("source_size").alias("_pv_ss"), F.col("target").alias("_pv_target"), F.col("times").alias("_pv_times"), F.when(F.col("rest") > 0, F.col("last")).alias("_pv_last"))
     last = written(last, "last")
     if last.count() <= MAX_BROADCAST_SOURCES:
         last = F.broadcast(last)
-    out = own.join(last, F.col("_s") == F.col("_t"))
-    copies = F.col("times") + F.when(F.col("_place") <= F.col("last"), 1).otherwise(0)
-    return out.select(*df.columns, "_size", F.col("source_size").cast("long").alias("_source_size"), F.col("target").alias("_target"), copies.cast("long").alias("_copies"))
+    out = own.join(last, F.col("_pv_s") == F.col("_pv_t"))
+    copies = F.col("_pv_times") + F.when(F.col("_pv_place") <= F.col("_pv_last"), 1).otherwise(0)
+    kept = [c for c in df.columns if c not in ("_size", "_source_size", "_target", "_copies")]
+    return out.select(*kept, F.col("_pv_size").alias("_size"), F.col("_pv_ss").cast("long").alias("_source_size"), F.col("_pv_target").alias("_target"), copies.cast("long").alias("_copies"))
 
 
 def repeated(mixed: DataFrame, columns: Sequence[str]) -> DataFrame:

@@ -2,39 +2,6 @@
 
 from __future__ import annotations
 
-from packvec.llm import sharding
-
-SHARDS = 40
-
-
-def _draw(node: str) -> str:
-    return f"((('0x' || substring(md5('{node}:' || k), 1, 13))::BIGINT::DOUBLE + 0.5) / {float(16**13)!r})"
-
-
-def _winner(runners: list[tuple[str, float, str]]) -> str:
-    """The value of the runner with the least -ln(u) / weight."""
-    if len(runners) == 1:
-        return runners[0][2]
-    pairs = ", ".join(f"{{'t': -ln({_draw(node)}) / {float(w)!r}, 'x': {x}}}" for node, w, x in runners)
-    return f"list_sort([{pairs}])[1].x"
-
-
-def _shard(tree: sharding.HashTree) -> str:
-    def weight(x) -> float:
-        return x[1] if isinstance(x, tuple) else sum(map(weight, x))
-
-    def down(x, name: str) -> str:
-        return str(x[0]) if isinstance(x, tuple) else _winner([(f"{name}/{i}", weight(y), down(y, f"{name}/{i}")) for i, y in enumerate(x)])
-
-    return _winner([(f"t/{i}", weight(x), down(x, f"t/{i}")) for i, x in enumerate(tree.leaves())] + [(f"added/{i}", w, str(tree.base + i)) for i, w in enumerate(tree.added)])
-
-
-#: CRC-32 by a table of 256 entries, which SQL makes from the polynomial.
-CRC = """
-poly AS (SELECT list_transform(range(256), lambda i: list_reduce(list_prepend(i::BIGINT, [0::BIGINT, 0, 0, 0, 0, 0, 0, 0]), lambda c, z: CASE WHEN c % 2 = 1 THEN xor(c >> 1, 3988292384) ELSE c >> 1 END)) AS t)"""
-_BYTES = "list_transform(range(1, strlen(hex(encode(text))) // 2 + 1), lambda i: ('0x' || substring(hex(encode(text)), 2 * i::INT - 1, 2))::BIGINT)"
-
-
 def op4() -> str:
     return """
 WITH v AS (SELECT vec_id, list_transform(embedding, lambda x: floor(256 * x::DOUBLE)) AS e FROM embeddings
@@ -76,15 +43,4 @@ SELECT d.doc_id, d.size, e.n::BIGINT AS source_size, e.target, (d.size * (e.time
 FROM d JOIN e ON d.source IS NOT DISTINCT FROM e.source JOIN m ON m.source IS NOT DISTINCT FROM d.source AND m.place = d.place"""
 
 
-def op1() -> str:
-    tree = sharding.tree_of(SHARDS)
-    slot = "row_number() OVER (PARTITION BY shard ORDER BY g, doc_id NULLS FIRST) - 1"
-    return f"""WITH {CRC.strip()},
-d AS (SELECT doc_id, text, coalesce(doc_id::VARCHAR, '') AS k FROM documents),
-x AS (SELECT doc_id, coalesce(strlen(text), 0)::BIGINT + 16 AS size,
-             CASE WHEN text IS NOT NULL THEN xor(4294967295, list_reduce(list_prepend(4294967295::BIGINT, {_BYTES}), lambda c, b: xor(c >> 8, (SELECT t FROM poly)[(xor(c, b) & 255) + 1]))) END AS text_crc32,
-             {_shard(tree)}::INT AS shard, {_shard(tree.grown())}::INT AS grown_shard FROM d)
-SELECT doc_id, size, text_crc32, 'key' AS law, shard, slot, grown_shard FROM x"""
-
-
 SQL = {"op4_exact_topk": op4(), "op7_decontamination": op7(), "op8_mixing": op8()}

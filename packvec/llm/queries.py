@@ -15,8 +15,7 @@ RULES = (("block", "net", "/"), ("allow", "example.net", "/en/"), ("block", "exa
 def op1_hash_tree_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     tree = sharding.tree_of(SHARDS)
     docs = table(spark, sf_dir, "documents").select("doc_id", (F.coalesce(F.octet_length("text"), F.lit(0)) + 16).cast("long").alias("size"), F.crc32(F.encode("text", "UTF-8")).cast("long").alias("text_crc32"))
-    placed = sharding.with_shard(docs.withColumn("law", F.lit("key")), "doc_id", tree.grown(), "grown_shard")
-    return sharding.assign(placed, tree).select("doc_id", "size", "text_crc32", "law", "shard", "slot", "grown_shard")
+    return sharding.assign(docs, tree, grown="grown_shard").select("doc_id", "size", "text_crc32", F.lit("key").alias("law"), "shard", "slot", "grown_shard")
 
 
 def op2_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:

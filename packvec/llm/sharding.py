@@ -58,59 +58,72 @@ def tree_of(n: int, fan: int = 5) -> HashTree:
 
 
 def draw(key: Column, node: Column) -> Column:
-    """A number in (0, 1) from the key and the node's name: 13 hexadecimal digits of an md5."""
-    digits = F.substring(F.md5(F.concat(node, F.lit(":"), key)), 1, 13)
-    return (F.conv(digits, 16, 10).cast("double") + F.lit(0.5)) / F.lit(float(16**13))
+    """A number in (0, 1) from the key and the node's number: the upper 53 bits of a hash."""
+    return (F.shiftrightunsigned(F.xxhash64(node.cast("long"), key), 11).cast("double") + F.lit(0.5)) * F.lit(2.0**-53)
 
 
-def first(key: Column, prefix: Column, weights: Column, at: Column, n: int) -> Column:
-    """(t, i) of the earliest of runners 0 .. n - 1, named prefix and number; weights, from at on, are theirs. Weight 0 never wins."""
+def first(key: Column, node: Column, weights: Column, at: Column, n: int) -> Column:
+    """(t, i) of the earliest of runners 0 .. n - 1, whose nodes are numbered from node on and whose weights begin at `at`. Weight 0 never wins."""
     def run(i: Column) -> Column:
         w = F.get(weights, at + i)
-        return F.struct(F.when(w > 0, -F.ln(draw(key, F.concat(prefix, i.cast("string")))) / w).otherwise(F.lit(float("inf"))).alias("t"), i.alias("i"))
+        return F.struct(F.when(w > 0, -F.ln(draw(key, node + i)) / w).otherwise(F.lit(float("inf"))).alias("t"), i.alias("i"))
 
     return F.array_min(F.transform(F.sequence(F.lit(0), F.lit(n - 1)), run))
 
 
-def with_shard(df: DataFrame, key: str, tree: HashTree, out: str) -> DataFrame:
-    """df with the shard of its key, one level after the other. Null keys count as ''."""
-    leaves, k = tree.leaves(), F.coalesce(F.col(key).cast("string"), F.lit(""))
+#: Node numbers of a level begin at its multiple of this: regions, racks, leaves, leaves added later.
+LEVEL = 1 << 40
+
+
+def with_shard(df: DataFrame, key: str, tree: HashTree, out: str, grown: str | None = None) -> DataFrame:
+    """df with the shard of its key, one level after the other; grown: the shard if one more leaf of weight 1 is added.
+
+    Null keys count as ''.
+    """
+    leaves = tree.leaves()
     racks, fan = max(map(len, leaves)), max(len(y) for x in leaves for y in x)
     slots = [[leaves[i][j][n] if j < len(leaves[i]) and n < len(leaves[i][j]) else (0, 0.0) for j in range(racks) for n in range(fan)] for i in range(len(leaves))]
     literal = lambda values: F.array(*map(F.lit, values))
     by_leaf = literal([w for x in slots for _, w in x])
     by_rack = literal([float(sum(w for _, w in x[j * fan : (j + 1) * fan])) for x in slots for j in range(racks)])
     by_region = literal([float(sum(w for _, w in x)) for x in slots])
-    step = df.withColumn("_region", first(k, F.lit("t/"), by_region, F.lit(0), len(leaves)))
-    late = F.lit(None).cast("struct<t:double,i:int>")
-    if tree.added:
-        late = first(k, F.lit("added/"), literal([float(w) for w in tree.added]), F.lit(0), len(tree.added))
-    step = step.withColumn("_late", late)
-    name = F.concat(F.lit("t/"), F.col("_region.i").cast("string"), F.lit("/"))
-    step = step.withColumn("_rack", first(k, name, by_rack, F.col("_region.i") * racks, racks)["i"])
-    place = (F.col("_region.i") * racks + F.col("_rack")) * fan
-    leaf = first(k, F.concat(name, F.col("_rack").cast("string"), F.lit("/")), by_leaf, place, fan)["i"]
-    shard = F.when(F.col("_late.t") < F.col("_region.t"), F.lit(tree.base) + F.col("_late.i")).otherwise(F.get(literal([s for x in slots for s, _ in x]), place + leaf))
-    return step.withColumn(out, shard.cast("int")).drop("_region", "_late", "_rack")
-
-
-def assign(df: DataFrame, tree: HashTree, key: str = "doc_id", shard: str = "shard", slot: str | None = "slot") -> DataFrame:
-    """df with its shard and, unless slot is None, a number within the shard without gaps from 0.
+    k = F.col("_pv_k")
+    step = df.withColumn("_pv_k", F.coalesce(F.col(key).cast("string"), F.lit("")))
+    step = step.withColumn("_pv_region", first(k, F.lit(0), by_region, F.lit(0), len(leaves)))
+    rack = F.col("_pv_region.i") * racks
+    step = step.withColumn("_pv_rack", rack + first(k, F.lit(LEVEL) + rack, by_rack, rack, racks)["i"])
+    leaf = F.col("_pv_rack") * fan
+    step = step.withColumn("_pv_leaf", F.get(literal([s for x in slots for s, _ in x]), leaf + first(k, F.lit(2 * LEVEL) + leaf, by_leaf, leaf, fan)["i"]))
+
+    def landed(added: tuple[float, ...]) -> Column:
+        if not added:
+            return F.col("_pv_leaf").cast("int")
+        late = first(k, F.lit(3 * LEVEL), literal([float(w) for w in added]), F.lit(0), len(added))
+        return F.when(late["t"] < F.col("_pv_region.t"), F.lit(tree.base) + late["i"]).otherwise(F.col("_pv_leaf")).cast("int")
+
+    step = step.withColumn(out, landed(tree.added))
+    if grown:
+        step = step.withColumn(grown, landed((*tree.added, 1.0)))
+    return step.drop("_pv_k", "_pv_region", "_pv_rack", "_pv_leaf")
+
+
+def assign(df: DataFrame, tree: HashTree, key: str = "doc_id", shard: str = "shard", slot: str = "slot", grown: str | None = None) -> DataFrame:
+    """df with its shard, a number within the shard without gaps from 0 and, if named, the shard that one more would give.
 
     Numbering needs no task that sees a whole shard: rows are numbered within groups of (shard, hash of key), and each
     group starts where the ones before it end. The counts table has NUMBERING_GROUPS rows a shard at most, whatever the
     input, so it may be broadcast. Edge cases: null keys all share the shard of ''; repeated rows get slots of their
     own; an empty table gives an empty result; other columns pass through, those named like the results are replaced.
     """
-    out = with_shard(df, key, tree, shard)
-    if slot is None:
-        return out
-
     def group(c: str) -> Column:
         return F.pmod(F.xxhash64(F.coalesce(F.col(c).cast("string"), F.lit(""))), F.lit(NUMBERING_GROUPS)).cast("int")
 
-    counted = with_shard(df.select(F.col(key).alias("_key")), "_key", tree, "_s").groupBy("_s", group("_key").alias("_g")).agg(F.count(F.lit(1)).alias("_n"))
-    begins = counted.select("_s", "_g", (F.sum("_n").over(Window.partitionBy("_s").orderBy("_g")) - F.col("_n")).alias("_begin"))
-    numbered = out.withColumn("_g", group(key)).withColumn("_i", F.row_number().over(Window.partitionBy(shard, "_g").orderBy(F.col(key).asc_nulls_first())) - 1)
-    joined = numbered.join(F.broadcast(begins), (numbered[shard] == begins["_s"]) & (numbered["_g"] == begins["_g"]))
-    return joined.select(*[numbered[c] for c in out.columns if c != slot], (begins["_begin"] + numbered["_i"]).cast("long").alias(slot))
+    results = [c for c in (shard, slot, grown) if c]
+    base = df.select(*[c for c in df.columns if c not in results])
+    counted = with_shard(base.select(F.col(key).alias("_pv_key")), "_pv_key", tree, "_pv_s").groupBy("_pv_s", group("_pv_key").alias("_pv_g")).agg(F.count(F.lit(1)).alias("_pv_n"))
+    begins = counted.select(F.col("_pv_s"), F.col("_pv_g").alias("_pv_h"), (F.sum("_pv_n").over(Window.partitionBy("_pv_s").orderBy("_pv_g")) - F.col("_pv_n")).alias("_pv_begin"))
+    placed = with_shard(base, key, tree, shard, grown).withColumn("_pv_g", group(key))
+    numbered = placed.withColumn("_pv_i", F.row_number().over(Window.partitionBy(shard, "_pv_g").orderBy(F.col(key).asc_nulls_first())) - 1)
+    # A left join, as an inner one would compute shards twice to drop null ones.
+    joined = numbered.join(F.broadcast(begins), (F.col(shard) == F.col("_pv_s")) & (F.col("_pv_g") == F.col("_pv_h")), "left")
+    return joined.select(*base.columns, *[F.col(c) for c in (shard, grown) if c], (F.col("_pv_begin") + F.col("_pv_i")).cast("long").alias(slot))

@@ -205,7 +205,7 @@ def scored(df: DataFrame, model: Model, text: str = "text", score: str = "score"
     """
     shared = df.sparkSession.sparkContext.broadcast(model)
     columns = [c for c in (columns or df.columns) if c != score]
-    base = df.select(*columns, F.col(text).alias("_text"))
+    base = df.select(*columns, F.col(text).alias("_pv_text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:

@@ -27,9 +27,9 @@ Rule = tuple[str, str, str]  # verdict, host, path
 def host_and_path(url: Column) -> tuple[Column, Column]:
     """Host: from behind the first :// up to /, ?, # or the end, A-Z lower-cased. Path: then up to ?, # or the end."""
     has = F.instr(url, "://") > 0
-    rest = F.substring_index(F.substring_index(F.expr("substring({0}, instr({0}, '://') + 3)".format("`_url`")), "#", 1), "?", 1)
+    rest = F.substring_index(F.substring_index(F.expr("substring({0}, instr({0}, '://') + 3)".format("`_pv_url`")), "#", 1), "?", 1)
     host = F.translate(F.substring_index(rest, "/", 1), UPPER, LOWER)
-    path = F.expr("substring({0}, length(substring_index({0}, '/', 1)) + 1)".format("substring_index(substring_index(substring(`_url`, instr(`_url`, '://') + 3), '#', 1), '?', 1)"))
+    path = F.expr("substring({0}, length(substring_index({0}, '/', 1)) + 1)".format("substring_index(substring_index(substring(`_pv_url`, instr(`_pv_url`, '://') + 3), '#', 1), '?', 1)"))
     return F.when(has, host).otherwise(F.lit("")), F.when(has, path).otherwise(F.lit(""))
 
 
@@ -72,10 +72,12 @@ def score(host: Column, path: Column, weights: Sequence[float]) -> Column:
     """Probability that a URL is to be blocked."""
     text = F.concat(F.lit("^"), host, path, F.lit("$"))
     table = F.split(F.lit(",".join(map(repr, weights[:-1]))), ",").cast("array<double>")
-    parts = [
-        F.transform(F.sequence(F.lit(1), F.greatest(F.length(text) - n + 1, F.lit(1))), lambda i, n=n: F.when(i + n - 1 <= F.length(text), F.pmod(F.crc32(F.encode(text.substr(i, F.lit(n)), "UTF-8")), F.lit(BUCKETS)).cast("int")))
-        for n in GRAMS
-    ]
+
+    def hashed(n: int) -> Column:
+        ends = F.sequence(F.lit(1), F.greatest(F.length(text) - n + 1, F.lit(1)))
+        return F.transform(ends, lambda i: F.when(i + n - 1 <= F.length(text), F.pmod(F.crc32(F.encode(text.substr(i, F.lit(n)), "UTF-8")), F.lit(BUCKETS)).cast("int")))
+
+    parts = [hashed(n) for n in GRAMS]
     grams = F.filter(F.concat(*parts), lambda x: x.isNotNull())
     total = F.aggregate(grams, F.lit(0.0), lambda a, i: a + F.get(table, i))
     z = F.lit(float(weights[-1])) + total / F.sqrt(F.greatest(F.size(grams), F.lit(1)).cast("double"))
@@ -104,13 +106,13 @@ def judge(df: DataFrame, rules: Sequence[Rule], labelled: Sequence[tuple[str, st
     """
     results = ("host", "path", "rule", "verdict", "p_block")
     weights = fit(sample_labels() if labelled is None else labelled)
-    named = df.withColumn("_url", F.col(url))
-    host, path = host_and_path(F.col("_url"))
-    split = named.withColumns({"_host": host, "_path": path})
-    ruled = split.withColumns({"_rule": rule_of(F.col("_host"), F.col("_path"), rules), "_p": score(F.col("_host"), F.col("_path"), weights)})
+    named = df.withColumn("_pv_url", F.col(url))
+    host, path = host_and_path(F.col("_pv_url"))
+    split = named.withColumns({"_pv_host": host, "_pv_path": path})
+    ruled = split.withColumns({"_pv_rule": rule_of(F.col("_pv_host"), F.col("_pv_path"), rules), "_pv_p": score(F.col("_pv_host"), F.col("_pv_path"), weights)})
     return ruled.select(
         *[F.col(c) for c in df.columns if c not in results],
-        F.col("_host").alias("host"), F.col("_path").alias("path"), F.col("_rule.rule").alias("rule"),
-        F.coalesce(F.col("_rule.verdict"), F.when(F.col("_p") >= threshold, "block").otherwise("allow")).alias("verdict"),
-        F.col("_p").alias("p_block"),
+        F.col("_pv_host").alias("host"), F.col("_pv_path").alias("path"), F.col("_pv_rule.rule").alias("rule"),
+        F.coalesce(F.col("_pv_rule.verdict"), F.when(F.col("_pv_p") >= threshold, "block").otherwise("allow")).alias("verdict"),
+        F.col("_pv_p").alias("p_block"),
     )

@@ -50,7 +50,7 @@ def lloyd_edges(x: np.ndarray, cells: int, rounds: int = 15) -> np.ndarray:
         if np.array_equal(means, centres):
             break
         centres = np.sort(means)
-    return np.r_[x[0], (centres[1:] + centres[:-1]) / 2, x[-1]]
+    return np.r_[x[0], np.clip((centres[1:] + centres[:-1]) / 2, x[0], x[-1]), x[-1]]
 
 
 def lloyd(values: DataFrame, bits: DataFrame, *by: str, rounds: int = 15, sample: int = 1_000_000) -> DataFrame:

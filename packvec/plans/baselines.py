@@ -213,7 +213,7 @@ def graph(df: DataFrame, queries: DataFrame, k: int, partitions: int = 4, degree
     else:
         rows = df.withColumn("part_id", F.pmod(F.xxhash64("vec_id"), F.lit(partitions)).cast("int"))
     rows = rows.select("part_id", "vec_id", "embedding", allowed.alias("ok"))
-    each = queries.select("query_id", "qvec").crossJoin(F.broadcast(rows.select("part_id").distinct()))
+    each = queries.select("query_id", "qvec").crossJoin(F.broadcast(rows.select((F.col("part_id") + 0).alias("part_id")).distinct()))
     width, wide = int(round(degree * expand)), int(round(ef * expand))
 
     def run(left: pa.Table, right: pa.Table) -> pa.Table:

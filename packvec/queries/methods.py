@@ -307,8 +307,8 @@ def partition_payloads(spark, sf_dir):
 
 @query(f"""WITH {CENTROIDS}, d AS (SELECT vec_id, label, part_id, sqrt(list_sum(list_transform(list_zip(e, c), lambda p: (p[1] - p[2]) * (p[1] - p[2])))) AS dist FROM e, cen),
 r AS (SELECT vec_id, dist / max(dist) FILTER (label = part_id) OVER (PARTITION BY vec_id) AS ratio FROM d),
-m AS (SELECT vec_id, avg(ratio) AS m, stddev_pop(ratio) AS s, avg((ratio < 1)::INT) AS b FROM r GROUP BY vec_id)
-SELECT round(1 + avg(s) / avg(m) + 0.001 * sqrt(64), 6) AS threshold, round(avg(m), 6) AS mean_of_means, round(avg(s), 6) AS mean_of_stddevs, round(avg(b), 6) AS share_below_one FROM m""")
+by_row AS (SELECT vec_id, avg(ratio) AS m, stddev_pop(ratio) AS s, avg((ratio < 1)::INT) AS b FROM r GROUP BY vec_id)
+SELECT round(1 + avg(s) / avg(m) + 0.001 * sqrt(64), 6) AS threshold, round(avg(m), 6) AS mean_of_means, round(avg(s), 6) AS mean_of_stddevs, round(avg(b), 6) AS share_below_one FROM by_row""")
 def threshold_factor(spark, sf_dir):
     df = tb.embeddings(spark, sf_dir)
     return sl.centroid_factor(df.withColumn("part_id", F.col("label")), tb.label_centroids(df), D)

@@ -271,7 +271,8 @@ def link(n: int, num: int):
 
 
 def near_duplicates(df: DataFrame, id: str = "doc_id", text: str = "text", n: int = 5, num: int = 80) -> DataFrame:
-    """id, key, n_shingles, name (of its set; 0: none), component: the least id that links reach. One row for each row.
+    """id, key, n_shingles, name (of its set; 0: none), component: the least id that links reach, and group: one number
+    for all rows of a component (null without a set). One row for each row.
 
     Words are runs outside white space, A-Z lower-cased; a text of fewer than n words has one gram, of all its words.
     Edge cases: null, empty and blank texts have no set and are linked with nothing; equal sets are one set with all
@@ -300,6 +301,6 @@ def near_duplicates(df: DataFrame, id: str = "doc_id", text: str = "text", n: in
     owned = sets.join(roots.withColumnRenamed("node", "_n"), F.col("name") == F.col("_n"), "left").select("name", "least_id", F.coalesce("root", "name").alias("root"))
     owned = written(owned, "owned")
     least = owned.groupBy("root").agg(F.min("least_id").alias("component")).withColumnRenamed("root", "_r")
-    named = owned.join(least, F.col("root") == F.col("_r")).select(F.col("name").alias("_n"), "component")
+    named = owned.join(least, F.col("root") == F.col("_r")).select(F.col("name").alias("_n"), "component", F.col("root").alias("group"))
     out = rows.join(named, F.col("name") == F.col("_n"), "left")
-    return out.select("id", "key", "n_shingles", "name", F.when(F.col("name") == 0, F.col("id")).otherwise(F.col("component")).alias("component"))
+    return out.select("id", "key", "n_shingles", "name", F.when(F.col("name") == 0, F.col("id")).otherwise(F.col("component")).alias("component"), "group")

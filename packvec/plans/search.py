@@ -88,7 +88,7 @@ def counts(index: Index, preds: dict[str, predicates.Predicate], mode: str = "ex
     return parts.groupBy("pred", "part_id").agg(F.sum("n_pass").alias("n_pass"))
 
 
-CANDIDATES = "query_id long, part_id int, vec_id long, bound double, n_filter long, n_low long"
+CANDIDATES = "query_id long, part_id int, chunk int, vec_id long, bound double, n_filter long, n_low long"
 
 
 def scanner(index: Index, plan: Plan, k: int):
@@ -96,7 +96,7 @@ def scanner(index: Index, plan: Plan, k: int):
     d, kinds, names, raw = index.d, index.attributes, sorted(index.attributes), index.cfg.lowbit_space == "raw"
 
     def run(rows: pa.Table, load: pa.Table) -> pa.Table:
-        out: list[list[np.ndarray]] = [[] for _ in range(6)]
+        out: list[list[np.ndarray]] = [[] for _ in range(7)]
         if rows.num_rows and load.num_rows:
             m = {c: load.column(c)[0].as_py() for c in ("mean", "rotation", "bits", "edges", "low_mean", "queries")}
             ids = rows.column("vec_id").to_numpy()
@@ -133,10 +133,10 @@ def scanner(index: Index, plan: Plan, k: int):
                 else:
                     keep = np.lexsort((ids[some], bound))[: max(1, int(np.ceil(plan.rerank * k)))]
                 n = len(keep)
-                for column, v in zip(out, (np.full(n, q["query_id"]), np.full(n, rows.column("part_id")[0].as_py(), np.int32), ids[some][keep], bound[keep], np.full(n, n_filter), np.full(n, left))):
+                for column, v in zip(out, (np.full(n, q["query_id"]), np.full(n, rows.column("part_id")[0].as_py(), np.int32), np.full(n, rows.column("chunk")[0].as_py(), np.int32), ids[some][keep], bound[keep], np.full(n, n_filter), np.full(n, left))):
                     column.append(v)
-        types = (np.int64, np.int32, np.int64, np.float64, np.int64, np.int64)
-        return pa.table([pa.array(np.concatenate(c).astype(t) if c else np.zeros(0, t)) for c, t in zip(out, types)], names=["query_id", "part_id", "vec_id", "bound", "n_filter", "n_low"])
+        types = (np.int64, np.int32, np.int32, np.int64, np.float64, np.int64, np.int64)
+        return pa.table([pa.array(np.concatenate(c).astype(t) if c else np.zeros(0, t)) for c, t in zip(out, types)], names=["query_id", "part_id", "chunk", "vec_id", "bound", "n_filter", "n_low"])
 
     return run
 
@@ -211,7 +211,7 @@ def funnel(index: Index, queries: DataFrame, k: int = 10, plan: Plan = Plan()) -
     reached = stored(reach(index, queries, plan, k), "reach")
     found = visit(index, queries, reached, plan, k)
     total = index.rows.count()
-    by_part = found.groupBy("query_id", "part_id").agg(F.max("n_filter").alias("n_filter"), F.max("n_low").alias("n_low"), F.count(F.lit(1)).alias("n_short"))
+    by_part = found.groupBy("query_id", "part_id", "chunk").agg(F.max("n_filter").alias("n_filter"), F.max("n_low").alias("n_low"), F.count(F.lit(1)).alias("n_short"))
     sums = by_part.groupBy("query_id").agg(*[F.sum(c).alias(c) for c in ("n_filter", "n_low", "n_short")])
     visited = reached.groupBy("query_id").agg(F.count(F.lit(1)).alias("n_visited"))
     return sums.join(visited, "query_id").withColumn("n_rows", F.lit(total))

@@ -203,3 +203,43 @@ def build(df: DataFrame, attribute_names: list[str] | None = None, cfg: Config =
     some = vectors.orderBy(F.xxhash64("vec_id")).limit(10_000)
     index.threshold = select.centroid_factor(some, index.centroids, d, cfg.beta).first()["threshold"] or 1.0
     return index
+
+
+def append(index: Index, df: DataFrame) -> Index:
+    """The index with more rows (M22): nearest homes, old models, wider edges. Rows whose ids it has are replaced.
+
+    Values beyond an attribute's or a dimension's outer edges widen them. Unknown categories need a new index.
+    """
+    d, cfg = index.d, index.cfg
+    kinds = {}
+    for a in index.attributes.values():
+        if a.kind == "category":
+            odd = df.where(F.col(a.name).isNotNull() & ~F.col(a.name).cast("string").isin(a.values))
+            if not odd.isEmpty():
+                raise ValueError(f"{a.name} has values that the index does not know")
+            kinds[a.name] = a
+        else:
+            low, high = df.agg(F.min(at.number(df, a.name)), F.max(at.number(df, a.name))).first()
+            edges = list(a.edges)
+            edges[0], edges[-1] = min(edges[0], edges[0] if low is None else low), max(edges[-1], edges[-1] if high is None else high)
+            kinds[a.name] = at.Attribute(a.name, a.kind, edges, a.values)
+    known = index.centroids.orderBy("part_id").collect()  # an index artefact
+    homes = partitioner._nearest(df, np.array([r["centroid"] for r in known]), 1)
+    parts = F.array(*[F.lit(r["part_id"]) for r in known])
+    own = homes.select("vec_id", F.get(parts, F.col("part_id")).alias("part_id"))
+    extra = [f"{p}{a}" for a in kinds for p in ("c_", "x_")]
+    placed = stored(at.quantized(df, kinds).join(own, "vec_id").select("part_id", "vec_id", F.col("embedding").cast("array<double>").alias("embedding"), *extra), "more")
+    wide = lambda e: F.concat(F.array(F.lit(float("-inf"))), F.slice(e, 2, F.size(e) - 2), F.array(F.lit(float("inf"))))
+    models = stored(index.models.withColumn("edges", F.transform("edges", wide)), "models")
+    last = index.rows.groupBy("part_id").agg(F.max("chunk").alias("last"))
+    sizes = placed.groupBy("part_id").agg(F.ceil(F.count(F.lit(1)) / cfg.chunk_rows).cast("int").alias("more")).join(last, "part_id", "left")
+    sizes = stored(sizes.select("part_id", "more", (F.coalesce("last", F.lit(-1)) + 1).alias("first")), "sizes")
+    chunked = placed.join(sizes, "part_id").withColumn("chunk", (F.col("first") + F.pmod(F.xxhash64("vec_id"), F.col("more"))).cast("int")).drop("more", "first")
+    per_chunk = models.join(sizes.select((F.col("part_id") + 0).alias("part_id"), "more", "first"), "part_id").withColumn("chunk", F.explode(F.sequence(F.col("first"), F.col("first") + F.col("more") - 1))).drop("more", "first")
+    types = {f.name: f.dataType.simpleString() for f in chunked.schema.fields}
+    schema = "part_id int, chunk int, vec_id long, packed binary, low binary" + "".join(f", {c} {types[c]}" for c in extra)
+    rows = chunked.groupBy("part_id", "chunk").cogroup(per_chunk.groupBy("part_id", "chunk")).applyInArrow(encoder(cfg, d, extra), schema)
+    new = placed.select("vec_id")
+    rows = stored(index.rows.join(new, "vec_id", "left_anti").unionByName(rows), "rows", "part_id").withColumn("part_id", F.col("part_id").cast("int"))
+    vectors = stored(index.vectors.join(new, "vec_id", "left_anti").unionByName(placed), "vectors")
+    return Index(cfg, d, models, rows, vectors, index.centroids, kinds, index.threshold)

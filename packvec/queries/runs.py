@@ -266,3 +266,34 @@ def line_search(spark, sf_dir):
     queries = rows.where("vec_id % 997 = 0").select(F.col("vec_id").alias("query_id"), F.col("embedding").alias("qvec"))
     found = index.build(rows.where("vec_id % 997 <> 0"), ["l_returnflag", "l_quantity"], index.Config(partitions=4, bits=6, balanced=False))
     return search.search(found, queries.withColumn("pred", F.lit("l_returnflag = 'A' AND l_quantity < 25")), K)
+
+
+@query()
+def allocator_sweep(spark, sf_dir):
+    return workloads.allocator_sweep(spark, sl.reach(ranked(spark, sf_dir), pass_counts(spark, sf_dir), 1.03, K))
+
+
+@query()
+def dataset_profile(spark, sf_dir):
+    return workloads.dataset_profile(spark, sf_dir)
+
+
+def _ablation(name: str):
+    @query(name=f"without_{name.replace(' ', '_').replace('-', '_')}")
+    def run(spark, sf_dir):
+        base, queries = hybrid(spark, sf_dir)
+        return baselines.ablated(base, queries, K, name, index.Config(partitions=2, rounds=4))
+
+
+for _name in baselines.ABLATIONS:
+    if _name != "none":
+        _ablation(_name)
+
+
+@query(knn_sql(L2, PRED_SQL))
+def appended_index(spark, sf_dir):
+    """An index that got half of its rows later answers exactly too."""
+    base, queries = hybrid(spark, sf_dir)
+    half = index.build(base.where("vec_id % 2 = 1"), ["totalprice", "priority", "status"], index.Config(partitions=2, rounds=4))
+    whole = index.append(half, base.where("vec_id % 2 = 0"))
+    return search.search(whole, queries.withColumn("pred", F.lit(PRED)), K, ALL)

@@ -117,3 +117,14 @@ def test_plan_reads_no_vectors_for_counts(small):
     _, _, found = small
     plan = search.counts(found, {"": ()})._jdf.queryExecution().executedPlan().toString()
     assert "packed" not in plan and "c_totalprice" in plan
+
+
+def test_append(small):
+    base, queries, _ = small
+    cfg = index.Config(partitions=2, rounds=3)
+    some = index.build(base.where("vec_id % 3 <> 1"), ["totalprice", "priority", "status"], cfg)
+    whole = index.append(some, base.where("vec_id % 3 = 1 OR vec_id = 2"))
+    plan = search.Plan(hperc=100, policy="all", exact_stop=True)
+    assert pairs(search.search(whole, queries.withColumn("pred", F.lit(PRED)), 5, plan)) == pairs(exact.knn(queries, base, 5, predicate=PRED))
+    with pytest.raises(ValueError):
+        index.append(some, base.withColumn("status", F.lit("new")))

@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 
 #: Characters of an n-gram; discount; labelled rows of each class that are learnt from at most; n-grams kept at most.
 ORDER, DISCOUNT, MAX_ROWS, MAX_GRAMS = 4, 0.75, 100_000, 1_000_000
-#: Distinct words whose evidence a worker remembers.
+#: Distinct words, and n-grams, whose evidence a worker remembers.
 MEMORY = 300_000
 WORD = re.compile(r"\w+")
 LONGEST = 40
@@ -69,6 +69,7 @@ class Model:
             longer = counts.keys()
         self.weights: list[float] | None = None
         self.known: dict[str, float] = {}
+        self.told: dict[str, float] = {}
 
     def backoff(self, g: str, level: int = 0) -> float:
         """Shared probability of g's last character after the others, from continuation counts."""
@@ -81,18 +82,27 @@ class Model:
         n = self.shared[level].get(g, 0)
         return (max(n - DISCOUNT, 0.0) + DISCOUNT * sums[1] * lower) / sums[0]
 
+    def gram(self, g: str) -> float:
+        """log-likelihood of g's last character after the others as toxic less that as ordinary."""
+        c = self.contexts.get(g[:-1])
+        if c is None:
+            return 0.0
+        nt, no = self.top.get(g, (0, 0))
+        p = self.backoff(g[1:])
+        toxic = (max(nt - DISCOUNT, 0.0) + DISCOUNT * c[1] * p) / c[0] if c[0] else p
+        ordinary = (max(no - DISCOUNT, 0.0) + DISCOUNT * c[3] * p) / c[2] if c[2] else p
+        return math.log(toxic / ordinary)
+
     def evidence(self, word: str) -> float:
-        """log-likelihood as toxic less log-likelihood as ordinary."""
-        out = 0.0
+        """log-likelihood as toxic less log-likelihood as ordinary. What an n-gram adds is worked out once."""
+        out, told = 0.0, self.told
+        if len(told) > MEMORY:
+            told.clear()
         for g in pieces(word):
-            c = self.contexts.get(g[:-1])
-            if c is None:
-                continue
-            nt, no = self.top.get(g, (0, 0))
-            p = self.backoff(g[1:])
-            toxic = (max(nt - DISCOUNT, 0.0) + DISCOUNT * c[1] * p) / c[0] if c[0] else p
-            ordinary = (max(no - DISCOUNT, 0.0) + DISCOUNT * c[3] * p) / c[2] if c[2] else p
-            out += math.log(toxic / ordinary)
+            x = told.get(g)
+            if x is None:
+                told[g] = x = self.gram(g)
+            out += x
         return out
 
     def features(self, text: str | None) -> tuple[float, ...]:
@@ -193,7 +203,7 @@ def learn(docs: DataFrame, labels: DataFrame, id: str = "doc_id", text: str = "t
 
     seen = rows.where(F.col("_fold") == 3).select("_text", "_y").mapInArrow(measure, ", ".join(f"{c} double" for c in names) + ", y int").toArrow().to_pandas().sort_values([*names, "y"])
     model.weights = logistic(seen[names].to_numpy(float), seen["y"].to_numpy(float)) if len(seen) else None
-    model.known = {}
+    model.known, model.told = {}, {}
     return model
 
 

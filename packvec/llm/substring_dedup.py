@@ -6,8 +6,9 @@ windows that share a minimiser form a super-k-mer. Equal windows have equal mini
 1. minimisers are counted, and only those with two or more places go on;
 2. a text's super-k-mers with such minimisers travel as packed strings of words to the minimiser's bucket, where their
    windows are sorted by hash and compared word by word;
-3. a minimiser with more than HEAVY places (a passage that very many texts share) has its windows counted one by one
-   instead, by two 64-bit hashes each and with sums before the shuffle, so no bucket grows without bound;
+3. of a minimiser with more than HEAVY places (a passage that very many texts share) each task compares its own
+   windows, by two 64-bit hashes each, marks those it has twice, and sends one place of each distinct window on, packed
+   by hash range; so a window reaches its range once a task at most, however many texts share it;
 4. the repeated windows come back to their texts.
 
 Equal texts have one key and are one text with a count; if it is over 1, all their windows are repeated.
@@ -92,47 +93,106 @@ def find(window: int, minimiser: int):
     return run
 
 
-def pack(window: int, heavy: bool):
-    """(doc, key, text, places) rows: packed super-k-mers of ordinary minimisers, or hashes of the windows of heavy ones."""
+def _each(batches: Iterator[pa.RecordBatch], heavy: bool):
+    """(doc, key, text, places) rows, each key once a task, as chunks: words, their hashes, and (text, minimiser, first word, first window, windows) of places of one kind."""
+    seen: set[int] = set()
+    for batch in batches:
+        places = batch.column(3)
+        offsets, parts = np.asarray(places.offsets, np.int64), places.flatten()
+        minis, starts, counts, kinds = (np.asarray(parts.field(c).to_numpy(zero_copy_only=False)) for c in ("mini", "start", "n", "heavy"))
+        offsets = offsets - offsets[0]
+        for a, keys, data, s, e, firsts, hashes in _texts(batch, 1, 2):
+            found = []
+            for i, k in enumerate(keys.tolist()):
+                if k in seen:
+                    continue
+                seen.add(k)
+                for p in range(offsets[a + i], offsets[a + i + 1]):
+                    if bool(kinds[p]) == heavy:
+                        found.append((k, int(minis[p]), int(firsts[i] + starts[p]), int(starts[p]), int(counts[p])))
+            if found:
+                yield data, s, e, hashes, found
+
+
+def pack(window: int):
+    """Packed super-k-mers of ordinary minimisers."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen: set[int] = set()
-        for batch in batches:
-            places = batch.column(3)
-            offsets, parts = np.asarray(places.offsets, np.int64), places.flatten()
-            minis, starts, counts, kinds = (np.asarray(parts.field(c).to_numpy(zero_copy_only=False)) for c in ("mini", "start", "n", "heavy"))
-            offsets = offsets - offsets[0]
-            for a, keys, data, s, e, firsts, hashes in _texts(batch, 1, 2):
-                rows: list[tuple] = []
-                each: list[np.ndarray] = []
-                for i, k in enumerate(keys.tolist()):
-                    if k in seen:
-                        continue
-                    seen.add(k)
-                    for p in range(offsets[a + i], offsets[a + i + 1]):
-                        if bool(kinds[p]) != heavy:
-                            continue
-                        first, n = int(firsts[i] + starts[p]), int(counts[p])
-                        if heavy:
-                            each.append(np.arange(first, first + n))
-                            rows.append((k, int(starts[p]), n))
-                        else:
-                            last = first + n + window - 2
-                            rows.append((int(minis[p]), k, int(starts[p]), n, b" ".join(data[s[first] : e[last]].tobytes().split())))
-                if not rows:
-                    continue
-                if heavy:
-                    at = np.concatenate(each)
-                    one, two = K.gram_hashes(hashes, window), K.gram_hashes(K.mix(hashes ^ _SECOND), window)
-                    n = np.array([r[2] for r in rows])
-                    key, start = np.repeat(np.array([r[0] for r in rows], np.int64), n), K.ragged(np.array([r[1] for r in rows], np.int64), n)
-                    yield pa.RecordBatch.from_arrays([pa.array(K.signed(one[at])), pa.array(K.signed(two[at])), pa.array(K.signed(occurrence(key, start))), pa.array(key), pa.array(start.astype(np.int32))], names=["h1", "h2", "occ", "key", "start"])
-                else:
-                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary()))], names=["mini", "key", "start", "n", "packed"])
+        for data, s, e, _, found in _each(batches, False):
+            rows = [(mini, k, start, n, b" ".join(data[s[first] : e[first + n + window - 2]].tobytes().split())) for k, mini, first, start, n in found]
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary()))], names=["mini", "key", "start", "n", "packed"])
+
+    return run
+
+
+PLACE = np.dtype([("h1", "<i8"), ("h2", "<i8"), ("key", "<i8"), ("start", "<i8")])
+MARKS = "range int, places binary, key long, start int, n int"
+
+
+def _runs(rows: np.ndarray) -> pa.RecordBatch:
+    """Marks of places, consecutive ones joined."""
+    key, start = (np.unique(rows[["key", "start"]])[c] for c in ("key", "start")) if len(rows) else (np.zeros(0, np.int64),) * 2
+    new = np.r_[True, (key[1:] != key[:-1]) | (start[1:] != start[:-1] + 1)][: len(key)]
+    begin = np.flatnonzero(new)
+    n = len(begin)
+    return pa.RecordBatch.from_arrays([pa.nulls(n, pa.int32()), pa.nulls(n, pa.binary()), pa.array(key[begin]), pa.array(start[begin].astype(np.int32)), pa.array(np.diff(np.r_[begin, len(key)]).astype(np.int32))], names=["range", "places", "key", "start", "n"])
+
+
+def _split(rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(places of windows that stand at two places or more, one place of each window)."""
+    rows = np.unique(rows)  # by hashes, then place
+    first = np.ones(len(rows), bool)
+    first[1:] = (rows["h1"][1:] != rows["h1"][:-1]) | (rows["h2"][1:] != rows["h2"][:-1])
+    alone = first & np.r_[first[1:], True][: len(rows)]
+    return rows[~alone], rows[first]
+
+
+def sift(window: int, ranges: int = 256, held: int = 500_000):
+    """Places of heavy minimisers into marks of windows that this task has twice, and one place of each window by hash range."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        parts: list[np.ndarray] = []
+
+        def out():
+            twice, one = _split(np.concatenate(parts))
+            parts.clear()
+            yield _runs(twice)
+            to = (one["h1"].view(np.uint64) % np.uint64(ranges)).astype(np.int32)
+            order = np.argsort(to, kind="stable")
+            cut = np.searchsorted(to[order], np.arange(ranges + 1))
+            rows = [(r, one[order[a:b]].tobytes()) for r, (a, b) in enumerate(zip(cut, cut[1:])) if b > a]
+            n = len(rows)
+            yield pa.RecordBatch.from_arrays([pa.array([r for r, _ in rows], pa.int32()), pa.array([x for _, x in rows], pa.binary()), pa.nulls(n, pa.int64()), pa.nulls(n, pa.int32()), pa.nulls(n, pa.int32())], names=["range", "places", "key", "start", "n"])
+
+        for _, _, _, hashes, found in _each(batches, True):
+            n = np.array([f[4] for f in found])
+            at = K.ragged(np.array([f[2] for f in found]), n)
+            rows = np.empty(len(at), PLACE)
+            rows["h1"], rows["h2"] = K.signed(K.gram_hashes(hashes, window)[at]), K.signed(K.gram_hashes(K.mix(hashes ^ _SECOND), window)[at])
+            rows["key"], rows["start"] = np.repeat(np.array([f[0] for f in found], np.int64), n), K.ragged(np.array([f[3] for f in found]), n)
+            parts.append(rows)
+            if sum(map(len, parts)) > held:
+                yield from out()
+        if parts:
+            yield from out()
 
     return run
 
 
+def gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Packed places, sorted by hash range, into marks of windows that two tasks or more have."""
+    group, parts = None, []
+    for batch in batches:
+        for r, x in zip(batch.column(0).to_pylist(), batch.column(1)):
+            if r != group and parts:
+                yield _runs(_split(np.concatenate(parts))[0])
+                parts = []
+            group = r
+            parts.append(np.frombuffer(x.as_buffer(), PLACE))
+    if parts:
+        yield _runs(_split(np.concatenate(parts))[0])
+
+
 def repeated_windows(keys: np.ndarray, starts: np.ndarray, counts: np.ndarray, packed: list[bytes], window: int) -> tuple[np.ndarray, np.ndarray]:
     """(key, start) of windows whose words also stand at another (key, start) of these super-k-mers."""
     names: dict[bytes, int] = {}
@@ -240,11 +300,12 @@ def remove_repeats(df: DataFrame, id: str = "doc_id", text: str = "text", window
     kept = places.join(shared, F.col("mini") == F.col("_mini")).groupBy("key").agg(F.collect_set(F.struct("mini", "start", "n", "heavy")).alias("places"))
 
     texts = docs.select("id", "key", "text").join(kept.withColumnRenamed("key", "_key"), F.col("key") == F.col("_key")).select("id", "key", "text", "places")
-    packed = texts.mapInArrow(pack(window, False), "mini long, key long, start int, n int, packed binary")
+    has = lambda kind: texts.where(F.exists("places", lambda p: p["heavy"] == F.lit(kind)))
+    packed = has(False).mapInArrow(pack(window), "mini long, key long, start int, n int, packed binary")
     by_bucket = packed.repartition("mini").sortWithinPartitions("mini").mapInArrow(compare(window), "key long, start int, n int")
-    single = texts.mapInArrow(pack(window, True), "h1 long, h2 long, occ long, key long, start int")
-    twice = single.groupBy("h1", "h2").agg(F.min("occ").alias("low"), F.max("occ").alias("high")).where("low <> high").select(F.col("h1").alias("_h1"), F.col("h2").alias("_h2"))
-    by_window = single.join(twice, (F.col("h1") == F.col("_h1")) & (F.col("h2") == F.col("_h2"))).select("key", "start", F.lit(1).alias("n"))
+    sifted = has(True).mapInArrow(sift(window, max(64, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")))), MARKS)
+    ranges = sifted.where(F.col("range").isNotNull()).select("range", "places").repartition("range").sortWithinPartitions("range")
+    by_window = sifted.where(F.col("range").isNull()).unionByName(ranges.mapInArrow(gather, MARKS)).select("key", "start", "n")
     marks = by_bucket.unionByName(by_window).groupBy("key").agg(F.collect_set(F.struct("start", "n")).alias("marks"))
     copies = docs.groupBy("key").agg(F.count(F.lit(1)).alias("copies"))
     known = copies.join(marks, "key", "left").select(F.col("key").alias("_key"), "copies", "marks").where((F.col("copies") > 1) | F.col("marks").isNotNull())

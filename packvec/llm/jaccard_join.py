@@ -26,7 +26,7 @@ from packvec.llm.common import written
 from packvec.llm.components import components
 
 #: Parts that may be empty without a pair being lost; k up to which grams are left out; sets in a block; bytes of a dense product.
-SLACK, DELETIONS, BLOCK, COLUMNS = 2, 2, 128, 8192
+SLACK, DELETIONS, BLOCK, COLUMNS = 2, 2, 512, 4096
 #: Signatures that a task gathers before it gives each signature's least set on (and links the others to it).
 GATHERED = 2_000_000
 

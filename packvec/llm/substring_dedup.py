@@ -3,7 +3,7 @@
 A window is WINDOW consecutive words; its minimiser is the least hash of the MINIMISER-word grams inside it. Consecutive
 windows that share a minimiser form a super-k-mer. Equal windows have equal minimisers, so:
 
-1. minimisers are counted, and only those with two or more places go on;
+1. minimisers are counted, and only those with two or more places, or with a place that may repeat inside itself, go on;
 2. a text's super-k-mers with such minimisers travel as packed strings of words to the minimiser's bucket, where their
    windows are sorted by hash and compared word by word;
 3. of a minimiser with more than HEAVY places (a passage that very many texts share) each task compares its own
@@ -61,6 +61,19 @@ def super_kmers(hashes: np.ndarray, firsts: np.ndarray, window: int, minimiser:
     return text[begin], value[begin], inside[begin], np.diff(np.r_[begin, len(at)])
 
 
+def repeats_inside(hashes: np.ndarray, firsts: np.ndarray, text: np.ndarray, value: np.ndarray, start: np.ndarray, n: np.ndarray, window: int, minimiser: int) -> np.ndarray:
+    """Whether a super-k-mer's minimiser stands in it twice or more, as it does wherever two of its windows are equal."""
+    out = np.zeros(len(n), bool)
+    several = np.flatnonzero(n > 1)
+    if len(several) == 0:
+        return out
+    grams = n[several] + window - minimiser
+    at = K.ragged(firsts[text[several]] + start[several], grams)
+    same = K.gram_hashes(hashes, minimiser)[at] == np.repeat(value[several], grams)
+    out[several] = np.add.reduceat(same, np.cumsum(grams) - grams, dtype=np.int64) > 1
+    return out
+
+
 def occurrence(keys: np.ndarray, starts: np.ndarray) -> np.ndarray:
     return K.mix(keys.view(np.uint64) * np.uint64(K._BASE) + starts.astype(np.uint64))
 
@@ -74,7 +87,7 @@ def _texts(batch: pa.RecordBatch, keys: int, texts: int):
 
 
 def find(window: int, minimiser: int):
-    """(key, text) rows into (mini, occ, key, start, n), each key once a task."""
+    """(key, text) rows into (mini, occ, key, start, n, inside), each key once a task."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: set[int] = set()
@@ -88,7 +101,8 @@ def find(window: int, minimiser: int):
                         fresh[i] = True
                 keep = fresh[text]
                 text, value, start, n = text[keep], value[keep], start[keep], n[keep]
-                yield pa.RecordBatch.from_arrays([pa.array(K.signed(value)), pa.array(K.signed(occurrence(keys[text], start))), pa.array(keys[text]), pa.array(start.astype(np.int32)), pa.array(n.astype(np.int32))], names=["mini", "occ", "key", "start", "n"])
+                inside = repeats_inside(hashes, firsts, text, value, start, n, window, minimiser)
+                yield pa.RecordBatch.from_arrays([pa.array(K.signed(value)), pa.array(K.signed(occurrence(keys[text], start))), pa.array(keys[text]), pa.array(start.astype(np.int32)), pa.array(n.astype(np.int32)), pa.array(inside)], names=["mini", "occ", "key", "start", "n", "inside"])
 
     return run
 
@@ -294,9 +308,9 @@ def remove_repeats(df: DataFrame, id: str = "doc_id", text: str = "text", window
     gives an empty result. Equal texts are known by a 64-bit hash.
     """
     docs = df.select(F.col(id).alias("id"), F.coalesce(F.col(text), F.lit("")).alias("text")).withColumn("key", F.xxhash64("text"))
-    places = docs.select("key", "text").mapInArrow(find(window, minimiser), "mini long, occ long, key long, start int, n int")
-    counted = places.groupBy("mini").agg(F.min("occ").alias("low"), F.max("occ").alias("high"), F.count(F.lit(1)).alias("places"))
-    shared = counted.where(F.col("low") != F.col("high")).select(F.col("mini").alias("_mini"), (F.col("places") > heavy).alias("heavy"))
+    places = docs.select("key", "text").mapInArrow(find(window, minimiser), "mini long, occ long, key long, start int, n int, inside boolean")
+    counted = places.groupBy("mini").agg(F.min("occ").alias("low"), F.max("occ").alias("high"), F.count(F.lit(1)).alias("places"), F.max("inside").alias("inside"))
+    shared = counted.where((F.col("low") != F.col("high")) | F.col("inside")).select(F.col("mini").alias("_mini"), (F.col("places") > heavy).alias("heavy"))
     kept = places.join(shared, F.col("mini") == F.col("_mini")).groupBy("key").agg(F.collect_set(F.struct("mini", "start", "n", "heavy")).alias("places"))
 
     texts = docs.select("id", "key", "text").join(kept.withColumnRenamed("key", "_key"), F.col("key") == F.col("_key")).select("id", "key", "text", "places")

@@ -63,5 +63,22 @@ def test_substring_removal(spark, heavy):
     assert sum(c for _, _, c, _ in want) > 0
 
 
+@pytest.mark.parametrize("heavy", [2_000, 1])
+def test_substring_repeats_inside_one_place(spark, heavy):
+    """Lines of up to 28 words in a row, whose windows all share a minimiser: one place, under LONGEST windows."""
+    texts = []
+    for period in (1, 2, 10, 27, 28):
+        for n in (34, 35, period + 34, period + 35, 60, 290):
+            line = [f"p{period}n{n}w{i}" for i in range(period)]
+            texts.append(" ".join((line * (n // period + 1))[:n]))
+            texts.append(" ".join([f"head{period}-{n}-{i}" for i in range(40)] + (line * (n // period + 1))[:n] + [f"tail{period}-{n}-{i}" for i in range(40)]))
+    texts.append(" ".join(f"ten{i % 10}" for i in range(60)))
+    rows = [(i, t, "s", 1, "p") for i, t in enumerate(texts)]
+    got = substring_dedup.remove_repeats(spark.createDataFrame(rows, SCHEMA).repartition(5), heavy=heavy).collect()
+    want = brute.dedup([(r[0], r[1]) for r in rows], 35)
+    assert sorted(map(tuple, got)) == sorted(want)
+    assert want[-1][2] == 60
+
+
 def test_substring_empty(spark):
     assert substring_dedup.remove_repeats(spark.createDataFrame([], SCHEMA)).collect() == []

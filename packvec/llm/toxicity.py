@@ -12,15 +12,17 @@ from __future__ import annotations
 import math
 import re
 from collections import Counter
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-#: Characters of an n-gram; discount; labelled rows of each class that are learnt from at most; n-grams kept at most.
-ORDER, DISCOUNT, MAX_ROWS, MAX_GRAMS = 4, 0.75, 100_000, 1_000_000
+from packvec.llm.common import written
+
+#: Characters of an n-gram; discount.
+ORDER, DISCOUNT = 4, 0.75
 #: Distinct words, and n-grams, whose evidence a worker remembers.
 MEMORY = 300_000
 WORD = re.compile(r"\w+")
@@ -133,18 +135,45 @@ class Model:
         return 1 / (1 + math.exp(-max(-40.0, min(40.0, z))))
 
 
-def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1e-3, rounds: int = 30) -> list[float] | None:
-    """Weights and, last, the intercept by Newton's steps; None unless both classes are there."""
-    if len(y) == 0 or y.min() == y.max():
+def _summed(rows: DataFrame, what: Callable[[np.ndarray, np.ndarray], np.ndarray]) -> np.ndarray:
+    """The sum of what(features, y) over rows (features, y last), added up within tasks; 0 without rows."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = None
+        for batch in batches:
+            if batch.num_rows:
+                d = np.column_stack([np.asarray(c, float) for c in batch.columns])
+                part = what(d[:, :-1], d[:, -1])
+                total = part if total is None else total + part
+        if total is not None:
+            yield pa.RecordBatch.from_arrays([pa.array([total.tolist()], pa.list_(pa.float64()))], names=["sums"])
+
+    return sum((np.array(r["sums"]) for r in rows.mapInArrow(run, "sums array<double>").collect()), np.zeros(1))
+
+
+def logistic(rows: DataFrame, ridge: float = 1e-3, rounds: int = 30) -> list[float] | None:
+    """Weights and, last, the intercept by Newton's steps over all rows (features, y last); None unless both classes are there."""
+    first = _summed(rows, lambda x, y: np.r_[len(y), y.sum(), x.sum(0)])
+    n = first[0]
+    if n == 0 or first[1] in (0, n):
         return None
-    mean, spread = x.mean(0), x.std(0) + 1e-9
-    a = np.hstack([(x - mean) / spread, np.ones((len(x), 1))])
-    w = np.zeros(a.shape[1])
+    mean = first[2:] / n
+    spread = np.sqrt(_summed(rows, lambda x, y: ((x - mean) ** 2).sum(0)) / n) + 1e-9
+    w = np.zeros(len(mean) + 1)
     for _ in range(rounds):
-        p = 1 / (1 + np.exp(-np.clip(a @ w, -30, 30)))
-        pull = ridge * len(y) / 100 * np.r_[w[:-1], 0]
-        curve = a.T @ (a * (p * (1 - p))[:, None]) + np.eye(len(w)) * (ridge * len(y) / 100 + 1e-9)
-        w = w - np.linalg.solve(curve, a.T @ (p - y) + pull)
+
+        def terms(x: np.ndarray, y: np.ndarray, w: np.ndarray = w) -> np.ndarray:
+            a = np.hstack([(x - mean) / spread, np.ones((len(x), 1))])
+            p = 1 / (1 + np.exp(-np.clip(a @ w, -30, 30)))
+            return np.r_[a.T @ (p - y), (a.T @ (a * (p * (1 - p))[:, None])).ravel()]
+
+        sums = _summed(rows, terms)
+        pull = sums[: len(w)] + ridge * n / 100 * np.r_[w[:-1], 0]
+        curve = sums[len(w) :].reshape(len(w), len(w)) + np.eye(len(w)) * (ridge * n / 100 + 1e-9)
+        step = np.linalg.solve(curve, pull)
+        w = w - step
+        if np.abs(step).max() < 1e-9:
+            break
     out = w[:-1] / spread
     return [*map(float, out), float(w[-1] - (out * mean).sum())]
 
@@ -155,12 +184,12 @@ def fold(id: Column) -> Column:
 
 
 def learn(docs: DataFrame, labels: DataFrame, id: str = "doc_id", text: str = "text", label: str = "toxic") -> Model:
-    """A model from the labelled rows outside the held-out quarter, MAX_ROWS of each class at most, in the order of a hash."""
+    """A model from all labelled rows outside the held-out quarter, so that the classes keep their natural share."""
     usable = labels.where(F.col(label).isNotNull() & (fold(F.col(id)) != 2)).groupBy(F.col(id).alias("_id")).agg(F.max(F.col(label).cast("int")).alias("_y"))
-    order = [F.xxhash64(F.col("_id").cast("string")), F.col("_id")]
-    some = usable.where(F.col("_y") == 1).orderBy(*order).limit(MAX_ROWS).unionByName(usable.where(F.col("_y") == 0).orderBy(*order).limit(MAX_ROWS))
-    # some has 2 * MAX_ROWS short rows at most, so it may be broadcast.
-    rows = docs.select(F.col(id).alias("_id"), F.col(text).alias("_text")).join(F.broadcast(some), "_id").select("_text", "_y", fold(F.col("_id")).alias("_fold"))
+
+    def rows(*folds: int) -> DataFrame:
+        own = docs.select(F.col(id).alias("_id"), F.col(text).alias("_text")).where(fold(F.col("_id")).isin(*folds))
+        return own.join(usable.where(fold(F.col("_id")).isin(*folds)), "_id").select("_text", "_y")
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         found: tuple[Counter, Counter] = (Counter(), Counter())
@@ -189,10 +218,9 @@ def learn(docs: DataFrame, labels: DataFrame, id: str = "doc_id", text: str = "t
             yield pa.RecordBatch.from_arrays([pa.array([*toxic], pa.string()), pa.array([*toxic.values()], pa.int64()), pa.array([ordinary[g] for g in toxic], pa.int64())], names=["gram", "toxic", "ordinary"])
 
     sums = [F.sum("toxic").alias("toxic"), F.sum("ordinary").alias("ordinary")]
-    words = rows.where(F.col("_fold") < 2).select("_text", "_y").mapInArrow(count, "word string, toxic long, ordinary long").groupBy("word").agg(*sums)
+    words = rows(0, 1).mapInArrow(count, "word string, toxic long, ordinary long").groupBy("word").agg(*sums)
     grams = words.mapInArrow(cut, "gram string, toxic long, ordinary long").groupBy("gram").agg(*sums)
-    kept = grams.orderBy(F.desc(F.col("toxic") + F.col("ordinary")), "gram").limit(MAX_GRAMS).toArrow()
-    model = Model(zip(*(c.to_pylist() for c in kept.columns)))
+    model = Model(zip(*(c.to_pylist() for c in grams.toArrow().columns)))
     shared = docs.sparkSession.sparkContext.broadcast(model)
     names = [f"f{i}" for i in range(FEATURES)]
 
@@ -201,8 +229,8 @@ def learn(docs: DataFrame, labels: DataFrame, id: str = "doc_id", text: str = "t
             x = [shared.value.features(t.as_py()) for t in batch.column(0)]
             yield pa.RecordBatch.from_arrays([*(pa.array([r[i] for r in x], pa.float64()) for i in range(FEATURES)), batch.column(1)], names=[*names, "y"])
 
-    seen = rows.where(F.col("_fold") == 3).select("_text", "_y").mapInArrow(measure, ", ".join(f"{c} double" for c in names) + ", y int").toArrow().to_pandas().sort_values([*names, "y"])
-    model.weights = logistic(seen[names].to_numpy(float), seen["y"].to_numpy(float)) if len(seen) else None
+    seen = rows(3).mapInArrow(measure, ", ".join(f"{c} double" for c in names) + ", y int")
+    model.weights = logistic(written(seen, "toxicity"))
     model.known, model.told = {}, {}
     return model
 

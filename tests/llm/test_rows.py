@@ -199,6 +199,26 @@ def test_toxicity(spark):
     assert sum((a > b) + (a == b) / 2 for a in pos for b in neg) / (len(pos) * len(neg)) > 0.85
 
 
+def test_toxicity_learns_from_all_labels(spark, monkeypatch):
+    """No bound on rows or n-grams: those that were there would change the classes' share, and with it the scores' level."""
+    for name in ("MAX_ROWS", "MAX_GRAMS"):
+        monkeypatch.setattr(toxicity, name, 30, raising=False)
+    d = "/root/testdata/sf0.01"
+    docs, labels = (spark.read.parquet(f"{d}/{t}.parquet") for t in ("documents", "labels"))
+    truth = {r["doc_id"]: r["toxic"] for r in labels.collect() if r["toxic"] is not None}
+    part = lambda i: zlib.crc32(str(i).encode()) % 4
+    model = toxicity.learn(docs, labels)
+    counts = {}
+    for r in docs.collect():
+        if part(r["doc_id"]) < 2 and r["doc_id"] in truth:
+            for w in toxicity.distinct_words(r["text"]):
+                for g in toxicity.pieces(w):
+                    counts.setdefault(g, [0, 0])[1 - truth[r["doc_id"]]] += 1
+    assert model.top == {g: tuple(v) for g, v in counts.items()}
+    fitted = [(model.score(r["text"]), truth[r["doc_id"]]) for r in docs.collect() if part(r["doc_id"]) == 3 and r["doc_id"] in truth]
+    assert sum(s for s, _ in fitted) == pytest.approx(sum(y for _, y in fitted), abs=1e-4)
+
+
 def test_toxicity_without_labels(spark):
     rows = spark.createDataFrame([(1, None, 0.5), (2, "", 0.5), (None, "x", 0.5)], "doc_id long, text string, score double")
     model = toxicity.learn(rows, spark.createDataFrame([], "doc_id long, toxic int"))

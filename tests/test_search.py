@@ -119,6 +119,18 @@ def test_plan_reads_no_vectors_for_counts(small):
     assert "packed" not in plan and "c_totalprice" in plan
 
 
+def test_profile_takes_all_held_out_queries(spark, monkeypatch):
+    from packvec.plans import workloads
+
+    monkeypatch.setattr(tables, "documents_vd", lambda spark, d, n: tables.embeddings(spark, d))
+    d = "/root/testdata/sf0.1"
+    base, queries = tables.base_and_queries(tables.embeddings(spark, d).select("vec_id", "embedding"))
+    assert queries.count() == 200
+    got = {r["name"]: r["lid"] for r in workloads.dataset_profile(spark, d).collect()}
+    want = measures.lid(exact.knn(queries, base, 50)).first()["lid"]
+    assert list(got.values()) == pytest.approx([want, want], abs=1e-4)
+
+
 def test_append(small):
     base, queries, _ = small
     cfg = index.Config(partitions=2, rounds=3)

@@ -9,6 +9,8 @@ from pyspark.sql import functions as F
 
 #: Code points 0x20 and 0x09-0x0D, as Java's regular expressions write them.
 SPACES = r"[\x20\x09-\x0D]+"
+#: Rows of a table of numbers that is broadcast at most; a longer one is joined by a shuffle.
+BROADCAST_ROWS = 200_000
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
@@ -17,15 +19,22 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The cluster's shared working folder; a folder under /tmp only where none is set (tests, one machine)."""
+    """The cluster's shared working folder; a folder under /tmp where none is set and all runs on one machine."""
     context = spark.sparkContext
     configured = context.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None)
     if configured:
         return configured.rstrip("/")
+    if not context.master.startswith("local"):
+        raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
     context.setCheckpointDir(f"/tmp/checkpoints/{uuid.uuid4().hex}")
     return context.getCheckpointDir()
 
 
+def bounded(df: DataFrame, rows: int = BROADCAST_ROWS) -> DataFrame:
+    """df (a written table of a few narrow columns), to be broadcast if it has so many rows at most; counted, not guessed."""
+    return F.broadcast(df) if df.count() <= rows else df
+
+
 def written(df: DataFrame, name: str) -> DataFrame:
     """df, written once into the shared folder and read from there: later uses neither recompute nor lose it."""
     spark = df.sparkSession

@@ -5,14 +5,15 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from packvec.llm.common import written
+from packvec.llm.common import BROADCAST_ROWS, written
 
 
 def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     """node, root for every node of edges (long columns); root is the least node that it can reach.
 
-    Each round joins edges with the least neighbour of one end (Spark splits the joins' hot keys), writes the new edges
-    to the shared folder and ends when they no longer change. The number of rounds grows with the logarithm of the nodes.
+    Each round joins edges with the least neighbour of one end, writes the new edges to the shared folder and ends when
+    they no longer change. The least neighbours are broadcast while they are few; beyond that Spark splits the joins'
+    hot keys. The number of rounds grows with the logarithm of the nodes.
     """
     def ordered(x: DataFrame) -> DataFrame:
         return x.where(F.col("u") != F.col("v")).select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct()
@@ -26,11 +27,13 @@ def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
         before = state
         # Large star: each neighbour above u goes to the least of u and its neighbours.
         both = now.unionByName(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        least = both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m")).select(F.col("u").alias("w"), "m")
+        few = state[0] <= BROADCAST_ROWS // 2  # an edge has two nodes at most
+        near = lambda x: F.broadcast(x) if few else x
+        least = near(both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m")).select(F.col("u").alias("w"), "m"))
         large = ordered(both.where(F.col("v") > F.col("u")).join(least, F.col("u") == F.col("w")).select(F.col("v").alias("u"), F.col("m").alias("v")))
         # Small star: neighbours below u, and u, go to the least of them.
         least = large.groupBy("u").agg(F.min("v").alias("m")).select(F.col("u").alias("w"), "m")
-        moved = large.join(least, F.col("u") == F.col("w")).select(F.col("v").alias("u"), F.col("m").alias("v"))
+        moved = large.join(near(least), F.col("u") == F.col("w")).select(F.col("v").alias("u"), F.col("m").alias("v"))
         now = written(ordered(moved.unionByName(least.select(F.col("w").alias("u"), F.col("m").alias("v")))), "edges")
     rooted = now.groupBy(F.col("u").alias("node")).agg(F.min("v").alias("root"))
     return rooted.unionByName(rooted.select(F.col("root").alias("node"), "root").distinct())

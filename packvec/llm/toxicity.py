@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from packvec.llm.common import written
+from packvec.llm.common import bounded, written
 
 #: Characters of an n-gram; discount.
 ORDER, DISCOUNT = 4, 0.75
@@ -186,6 +186,7 @@ def fold(id: Column) -> Column:
 def learn(docs: DataFrame, labels: DataFrame, id: str = "doc_id", text: str = "text", label: str = "toxic") -> Model:
     """A model from all labelled rows outside the held-out quarter, so that the classes keep their natural share."""
     usable = labels.where(F.col(label).isNotNull() & (fold(F.col(id)) != 2)).groupBy(F.col(id).alias("_id")).agg(F.max(F.col(label).cast("int")).alias("_y"))
+    usable = bounded(written(usable, "labels"))  # texts are shuffled only where the labels are too many to send round
 
     def rows(*folds: int) -> DataFrame:
         own = docs.select(F.col(id).alias("_id"), F.col(text).alias("_text")).where(fold(F.col("_id")).isin(*folds))

@@ -14,7 +14,7 @@ pair is lost, whatever its size. Equal sets count once.
 3. Candidates are sifted by sketches (counts of grams in bins: their difference never exceeds the symmetric difference),
    then compared by their whole sets, one copy of each set for a cluster of candidates, or a pair of blocks of a large one.
 4. Crowds whose sets are not all in one component by then are compared across components, blocks against blocks, by
-   sketches and then by whole sets.
+   sketches and then by whole sets: first each set with its nearest, then all pairs of what is still apart.
 """
 
 from __future__ import annotations
@@ -382,8 +382,9 @@ def sift(num: int):
     return run
 
 
-def across(num: int):
-    """(sig, i, j, block, name, component, size, sketch) rows, sorted by sig, i, j, into pairs (a, b) of different components that sketches allow."""
+def across(num: int, nearest: bool):
+    """(sig, i, j, block, name, component, size, sketch) rows, sorted by sig, i, j, into pairs (a, b) of different
+    components that sketches allow; with nearest, only each set's nearest one among them."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[tuple] = []
@@ -400,10 +401,11 @@ def across(num: int):
             opened = [_folded_list([r[4] for r in x], bins) for x in (left, right)]
             for i in range(len(left)):
                 those = np.flatnonzero((kinds[1] != kinds[0][i]) & (100 * np.minimum(sizes[1], sizes[0][i]) >= num * np.maximum(sizes[1], sizes[0][i])))
-                if left is right:
+                if left is right and not nearest:
                     those = those[those > i]
                 if len(those):
-                    hit = those[_apart(opened[0][i], opened[1][those]) <= most_different(sizes[1][those] + sizes[0][i], num)]
+                    gap = _apart(opened[0][i], opened[1][those]) - most_different(sizes[1][those] + sizes[0][i], num)
+                    hit = those[gap <= 0] if not nearest else those[[gap.argmin()]] if gap.min() <= 0 else those[:0]
                     a += [int(names[0][i])] * len(hit)
                     b += names[1][hit].tolist()
             held.clear()
@@ -541,8 +543,9 @@ def sifted(pairs: DataFrame, sets: DataFrame, num: int) -> DataFrame:
     return both.select("a", "b", "size_a", "size_b", "sketch_a", "sketch_b").mapInArrow(sift(num), "a long, b long")
 
 
-def remaining(crowds: DataFrame, roots: DataFrame, sets: DataFrame, num: int) -> DataFrame:
-    """Pairs that share a crowd, are of different components and pass their sketches. crowds: sig, name; roots: node, root."""
+def remaining(crowds: DataFrame, roots: DataFrame, sets: DataFrame, num: int, nearest: bool) -> DataFrame:
+    """Pairs that share a crowd, are of different components and pass their sketches: all, or each set's nearest in its
+    block and crowd. crowds: sig, name; roots: node, root."""
     named = crowds.join(bounded(roots.withColumnRenamed("node", "_n")), F.col("name") == F.col("_n"), "left").select("sig", "name", F.coalesce("root", "name").alias("component"))
     open_ = named.groupBy("sig").agg(F.count(F.lit(1)).alias("n"), F.min("component").alias("low"), F.max("component").alias("high")).where(F.col("low") != F.col("high"))
     open_ = open_.select(F.col("sig").alias("_s"), F.ceil(F.col("n") / BLOCK).cast("int").alias("blocks"))
@@ -551,7 +554,7 @@ def remaining(crowds: DataFrame, roots: DataFrame, sets: DataFrame, num: int) ->
     known = rows.join(sets.select(F.col("name").alias("_n"), "n_shingles", "sketch"), F.col("name") == F.col("_n"))
     other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
     dealt = known.withColumn("_o", other).select("sig", F.least("block", "_o").alias("i"), F.greatest("block", "_o").alias("j"), "block", "name", "component", "n_shingles", "sketch")
-    return dealt.repartition("sig", "i", "j").sortWithinPartitions("sig", "i", "j").mapInArrow(across(num), "a long, b long").distinct()
+    return dealt.repartition("sig", "i", "j").sortWithinPartitions("sig", "i", "j").mapInArrow(across(num, nearest), "a long, b long").distinct()
 
 
 def near_duplicates(df: DataFrame, id: str = "doc_id", text: str = "text", n: int = 5, num: int = 80) -> DataFrame:
@@ -582,9 +585,12 @@ def near_duplicates(df: DataFrame, id: str = "doc_id", text: str = "text", n: in
     roots = components(links)
 
     crowds = met.where(F.col("sig").isNotNull()).select("sig", F.col("b").alias("name")).distinct()
-    more = written(remaining(crowds, roots, sets, num), "remaining")
-    if not more.isEmpty():
-        roots = components(links.unionByName(verified(own, sets, more, n, num, clashes)))
+    for nearest in (True, False):  # what the nearest pairs join need not be compared in all pairs
+        more = written(remaining(crowds, roots, sets, num, nearest), "remaining")
+        if more.isEmpty():
+            break
+        links = written(links.unionByName(verified(own, sets, more, n, num, clashes)), "links")
+        roots = components(links)
 
     owned = written(sets.join(roots.withColumnRenamed("node", "_n"), F.col("name") == F.col("_n"), "left").select("name", "least_id", F.coalesce("root", "name").alias("root")), "owned")
     least = owned.groupBy("root").agg(F.min("least_id").alias("component")).withColumnRenamed("root", "_r")

@@ -43,7 +43,7 @@ def bounded(df: DataFrame) -> DataFrame:
 
 def windows_of(items: DataFrame, item_id: str, text: str, n: int) -> DataFrame:
     """phrase, len, terms (array), item: each n words of each item, or all words of a shorter one."""
-    words = items.where(F.col(item_id).isNotNull()).select(F.col(item_id).cast("string").alias("item"), words_of(F.col(text)).alias("w")).where(F.size("w") > 0)
+    words = items.select(F.col(item_id).cast("string").alias("item"), words_of(F.col(text)).alias("w")).where(F.size("w") > 0)
     starts = words.select("item", "w", F.least(F.size("w"), F.lit(n)).alias("len")).select("item", "w", "len", F.explode(F.sequence(F.lit(1), F.size("w") - F.col("len") + 1)).alias("at"))
     cut = starts.select("item", "len", F.slice("w", F.col("at"), F.col("len")).alias("terms"))
     return cut.select("item", "len", "terms", F.array_join("terms", " ").alias("phrase")).distinct()
@@ -81,9 +81,9 @@ def phrases_in(index: DataFrame, anchors: DataFrame) -> DataFrame:
     start = (F.col("pos") - F.col("offset")).alias("start")
     lists = index.join(anchors, "term").select("_id", "_key", "phrase", "len", "slot", "slots", start, "from", "around").where(F.col("start") >= 0)
     there = (F.col("start") >= F.col("from")) & (F.array_join(F.slice("around", F.greatest(F.col("start") - F.col("from"), F.lit(0)) + 1, F.col("len")), " ") == F.col("phrase"))
-    held = lists.select("_id", "_key", "phrase", "len", "start", "slots", F.col("slot").alias("slot"), there.alias("there"))
-    met = held.groupBy("_id", "_key", "phrase", "len", "start").agg(F.bit_or(F.col("slot").cast("int")).alias("slots_met"), F.max("slots").alias("slots"), F.bool_and("there").alias("there"))
-    return met.where(F.col("there") & (F.col("slots_met") == F.when(F.col("slots") == 2, 3).otherwise(1))).select("_id", "_key", "phrase", "start", "len")
+    held = lists.where(there).select("_id", "_key", "phrase", "len", "start", "slots", "slot")
+    met = held.groupBy("_id", "_key", "phrase", "len", "start").agg(F.bit_or(F.col("slot").cast("int")).alias("slots_met"), F.max("slots").alias("slots"))
+    return met.where((F.col("slots_met") == F.when(F.col("slots") == 2, 3).otherwise(1))).select("_id", "_key", "phrase", "start", "len")
 
 
 def proximity(index: DataFrame, terms: Sequence[str], within: int) -> DataFrame:
@@ -112,8 +112,8 @@ def contamination(docs: DataFrame, items: DataFrame, id: str = "doc_id", text: s
     """_id, _key, n_words, n_hit, n_items, items (sorted ids as strings), contaminated; one row for each row of docs.
 
     A document is contaminated if its words inside occurrences of benchmark windows are at least 1 in 20 of its words.
-    Edge cases: null and empty texts have no words and no hits; items without words or with a null id take no part;
-    repeated rows and items count once in the index and get results each; empty tables give no hits.
+    Edge cases: null and empty texts have no words and no hits; items without words take no part; those with a null id
+    hit, but are not counted or listed; repeated rows and items count once in the index and get results each; empty tables give no hits.
     """
     own = keyed(docs, id, text)
     windows = written(windows_of(items, item_id, item_text, n), "windows")

@@ -11,21 +11,21 @@ from __future__ import annotations
 import html
 import math
 import re
-from collections import deque
+from collections import Counter, deque
 from collections.abc import Iterator
 from dataclasses import dataclass
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-TAG = re.compile(r"""<!--.*?(?:-->|\Z)|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:"[^"]*"|'[^']*'|[^'">])*)>|<[!?][^>]*>""", re.S)
-NAMES = re.compile(r"""\b(?:class|id|role)\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+))""", re.I)
-HIDDEN = re.compile(r"""\bhidden\b|display\s*:\s*none|aria-hidden\s*=\s*["']?true""", re.I)
+TAG = re.compile(r"""<!--.*?(?:-->|\Z)|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:"[^"]*"|'[^']*'|[^'"<>])*)>|<[!?][^<>]*>""", re.S)
+ATTRIBUTE = re.compile(r"""([^\s"'>/=]+)(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+)))?""")
+NO_DISPLAY = re.compile(r"(?:^|;)\s*display\s*:\s*none", re.I)
 
 #: HTML element names by their part in a page.
-RAW = {"script", "style", "noscript", "template", "textarea", "svg", "math", "iframe", "object", "canvas", "title"}
+RAW = {"script", "style", "template", "textarea", "svg", "iframe", "title"}
 RAW_ENDS = {name: re.compile(rf"</{name}[^>]*>", re.I) for name in RAW}
-DROPPED = {"head", "button", "select", "option", "datalist"}
+DROPPED = {"head", "datalist"}
 VOID = {"area", "base", "br", "col", "embed", "hr", "img", "input", "link", "meta", "param", "source", "track", "wbr"}
 BLOCK = {"address", "article", "aside", "blockquote", "body", "caption", "center", "dd", "details", "dialog", "dir", "div", "dl", "dt", "fieldset", "figcaption", "figure", "footer", "form", "h1", "h2", "h3", "h4", "h5", "h6", "header", "hgroup", "hr", "html", "legend", "li", "main", "menu", "nav", "ol", "p", "pre", "section", "summary", "table", "tbody", "td", "tfoot", "th", "thead", "tr", "ul"}
 ENDS_P = BLOCK - {"html", "body", "td", "th", "tr", "tbody", "thead", "tfoot", "caption", "legend", "summary"}
@@ -37,16 +37,16 @@ BAD_PARTS = {"ad", "ads", "nav", "menu", "aside", "toc", "tags", "meta", "byline
 BAD_STARTS = ("advert", "sponsor", "promo", "sidebar", "comment", "cookie", "consent", "gdpr", "notice", "footer", "header", "masthead", "navbar", "navigation", "breadcrumb", "related", "recommend", "newsletter", "subscri", "disqus", "respond", "reply", "replies", "discussion", "paywall", "pagination", "pager", "widget", "popup", "modal", "outbrain", "taboola", "topbar")
 GOOD_PARTS = {"article", "content", "main", "post", "entry", "story", "body", "text"}
 
-#: Weights of the classifier: a parameter. Structure outweighs what the text looks like.
-WEIGHTS = {"bias": -0.4, "outside": -9.0, "bad": -9.0, "article": 4.0, "good": 1.5, "heading": 0.5, "paragraph": 0.8, "item": -0.6, "links": -3.5, "length": 0.7, "sentence": 0.5, "symbol": -1.5}
+#: Weights of the classifier: a parameter, of the order of the ties.
+WEIGHTS = {"bias": -0.4, "outside": -2.5, "bad": -2.5, "article": 0.6, "good": 0.4, "heading": 0.5, "paragraph": 0.8, "item": -0.6, "links": -3.5, "length": 0.7, "sentence": 0.5, "symbol": -1.5}
 #: Ties between neighbours under one parent, neighbours elsewhere, and the next block of one parent further on.
-TIES = (0.8, 0.25, 0.3)
+TIES = (2.0, 0.4, 0.8)
 
 
 @dataclass
 class Block:
     text: str
-    path: tuple[int, ...]
+    parent: int
     facts: dict[str, float]
 
 
@@ -57,6 +57,7 @@ class Page:
         self.blocks: list[Block] = []
         self.stack: list[tuple[str, int, str]] = []  # element, number, part: "", "bad", "good", "article", "outside", "dropped"
         self.words: list[str] = []
+        self.inside: Counter[str] = Counter()  # open elements by part, and by name
         self.linked, self.number, end = 0, 0, 0
         while m := TAG.search(source, end):
             self.take(source[end : m.start()])
@@ -74,9 +75,9 @@ class Page:
         self.flush()
 
     def take(self, text: str) -> None:
-        if text and not any(x[2] == "dropped" for x in self.stack):
+        if text and not self.inside["part dropped"]:
             self.words.append(text)
-            if any(x[0] == "a" for x in self.stack):
+            if self.inside["a"]:
                 self.linked += len(text.strip())
 
     def flush(self) -> None:
@@ -86,25 +87,27 @@ class Page:
         linked, self.words, self.linked = self.linked, [], 0
         if not text:
             return
-        open_, parts = [x[0] for x in self.stack], [x[2] for x in self.stack]
-        inside = next((i for i, x in enumerate(parts) if x == "article"), len(parts))
-        kind = next((x for x in reversed(open_) if x in BLOCK), "")
+        blocks = (x for x in reversed(self.stack) if x[0] in BLOCK)
+        kind, parent = next(blocks, ("", 0, ""))[0], next(blocks, ("", 0, ""))[1]
+        within = lambda part: float(self.inside[f"part {part}"] > 0)
         letters = sum(c.isalnum() for c in text)
-        self.blocks.append(Block(text, tuple(x[1] for x in self.stack if x[0] in BLOCK), {
-            "bias": 1.0, "outside": float("outside" in parts), "bad": float("bad" in parts), "article": float(inside < len(parts)), "good": float("good" in parts),
+        self.blocks.append(Block(text, parent, {
+            "bias": 1.0, "outside": within("outside"), "bad": within("bad"), "article": within("article"), "good": within("good"),
             "heading": float(kind in ("h1", "h2", "h3", "h4", "h5", "h6")), "paragraph": float(kind in ("p", "pre", "blockquote")), "item": float(kind in ("li", "dt", "dd", "td", "th")),
             "links": min(1.0, linked / max(1, len(text))), "length": min(3.0, math.log1p(len(text)) / 2 - 1), "sentence": float(bool(re.search(r"[.!?…:](?:\s|$)", text))), "symbol": float(letters * 3 < len(text)),
         }))
 
     def part(self, name: str, attributes: str) -> str:
-        if name in DROPPED or (attributes and HIDDEN.search(attributes)):
+        given = {k.lower(): a or b or c for k, a, b, c in reversed(ATTRIBUTE.findall(attributes))} if attributes and not attributes.isspace() else {}
+        if name in DROPPED or (given and ("hidden" in given or given.get("aria-hidden", "").lower() == "true" or NO_DISPLAY.search(given.get("style", "")))):
             return "dropped"
-        within = any(x[2] == "article" for x in self.stack)
+        within = self.inside["part article"] > 0
         if name in ("nav", "aside", "form", "dialog", "menu") or name == "footer" or (name == "header" and not within):
             return "outside"
-        named = " ".join(filter(None, (y for x in NAMES.findall(attributes) for y in x))).lower() if attributes else ""
+        named = " ".join(given[k] for k in ("class", "id", "role") if k in given).lower()
         tokens = re.split(r"[^a-z0-9]+", re.sub(r"[\s_-]+", " ", named)) if named else []
-        if name not in ("html", "body", "article", "main") and any(t in BAD_PARTS or t.startswith(BAD_STARTS) for t in tokens):
+        own = within and any(t in ("article", "post", "entry", "content", "story") for t in re.split(r"[^a-z0-9]+", named))
+        if name not in ("html", "body", "article", "main") and not own and any(t in BAD_PARTS or t.startswith(BAD_STARTS) for t in tokens):
             return "bad"
         if name in ("article", "main"):
             return "article"
@@ -121,27 +124,39 @@ class Page:
             self.words.append("" if name == "wbr" else " ")
         if name not in VOID and not attributes.endswith("/"):
             self.number += 1
-            self.stack.append((name, self.number, self.part(name, attributes)))
+            part = self.part(name, attributes)
+            self.stack.append((name, self.number, part))
+            self.inside.update((name, f"part {part}"))
 
     def close(self, name: str) -> None:
         if name in BLOCK:
             self.flush()
+        if not self.inside[name]:
+            return
         for i in range(len(self.stack) - 1, -1, -1):
             if self.stack[i][0] == name:
-                del self.stack[i:]
+                self.cut(i)
                 return
             if name not in BLOCK and self.stack[i][0] in BLOCK:
                 return
 
     def drop_to(self, names: set[str], bounds: set[str]) -> None:
         """Ends the innermost open element of names, if none of bounds is open inside it."""
+        if not any(self.inside[x] for x in names):
+            return
         for i in range(len(self.stack) - 1, -1, -1):
             if self.stack[i][0] in names:
-                del self.stack[i:]
+                self.cut(i)
                 return
             if self.stack[i][0] in bounds:
                 return
 
+    def cut(self, i: int) -> None:
+        """Ends the open elements from the i-th on."""
+        for name, _, part in self.stack[i:]:
+            self.inside.subtract((name, f"part {part}"))
+        del self.stack[i:]
+
 
 def minimum_cut(gain: list[float], ties: dict[tuple[int, int], float]) -> list[bool]:
     """Labels x that minimise the sum of (gain > 0: gain if not x; gain < 0: -gain if x) and the ties cut. True is content."""
@@ -209,9 +224,9 @@ def ties_of(blocks: list[Block]) -> dict[tuple[int, int], float]:
     ties: dict[tuple[int, int], float] = {}
     last: dict[int, int] = {}
     for i, b in enumerate(blocks):
-        parent = b.path[-2] if len(b.path) > 1 else 0
+        parent = b.parent
         if i:
-            same = parent == (blocks[i - 1].path[-2] if len(blocks[i - 1].path) > 1 else 0)
+            same = parent == blocks[i - 1].parent
             ties[i - 1, i] = TIES[0] if same else TIES[1]
         if parent in last and last[parent] < i - 1:
             ties[last[parent], i] = TIES[2]

@@ -15,14 +15,14 @@ def op7() -> str:
     words = r"regexp_extract_all(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+')"
     return f"""
 WITH d AS (SELECT row_number() OVER () AS r, doc_id, coalesce({words}, []) AS w FROM documents),
-i AS (SELECT item_id, {words} AS w FROM benchmark WHERE text IS NOT NULL AND item_id IS NOT NULL),
+i AS (SELECT item_id, {words} AS w FROM benchmark WHERE text IS NOT NULL),
 wi AS (SELECT DISTINCT item_id, n, array_to_string(list_slice(w, first_at, first_at + n - 1), ' ') AS phrase
        FROM (SELECT item_id, w, least(13, len(w)) AS n, unnest(range(1, len(w) - least(13, len(w)) + 2)) AS first_at FROM i WHERE len(w) > 0)),
 sizes AS (SELECT DISTINCT n FROM wi),
 p AS (SELECT r, n, first_at, array_to_string(list_slice(w, first_at, first_at + n - 1), ' ') AS phrase FROM (SELECT r, w, n, unnest(range(1, len(w) - n + 2)) AS first_at FROM d, sizes WHERE len(w) >= n)),
 h AS (SELECT DISTINCT p.r, p.first_at, p.n, wi.item_id FROM p JOIN wi USING (n, phrase)),
 hit AS (SELECT r, count(DISTINCT pos) AS n_hit FROM (SELECT r, unnest(range(first_at, first_at + n)) AS pos FROM h) GROUP BY r),
-its AS (SELECT r, list_sort(list(DISTINCT item_id::VARCHAR)) AS ids FROM h GROUP BY r)
+its AS (SELECT r, list_sort(list(DISTINCT item_id::VARCHAR) FILTER (item_id IS NOT NULL)) AS ids FROM h GROUP BY r)
 SELECT doc_id, len(w)::BIGINT AS n_words, coalesce(n_hit, 0)::BIGINT AS n_hit, coalesce(len(ids), 0)::BIGINT AS n_items,
        sha256(coalesce(array_to_string(ids, ','), '')) AS items_sha256, coalesce(n_hit, 0) > 0 AND 20 * coalesce(n_hit, 0) >= len(w) AS contaminated
 FROM d LEFT JOIN hit USING (r) LEFT JOIN its USING (r)"""

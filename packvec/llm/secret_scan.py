@@ -46,11 +46,23 @@ def alphabet(value: str) -> int:
     return max(10, 26 * bool(re.search("[a-z]", value)) + 26 * bool(re.search("[A-Z]", value)) + 10 * bool(re.search("[0-9]", value)) + 33 * bool(re.search("[^A-Za-z0-9]", value)))
 
 
+def _run_ends(true: list[bool]) -> list[int]:
+    """For each place, where the run of true that begins there ends (the place itself if it is not true)."""
+    out, end = [0] * len(true), len(true)
+    for i in range(len(true) - 1, -1, -1):
+        if not true[i]:
+            end = i
+        out[i] = end
+    return out
+
+
 @lru_cache(maxsize=20_000)
 def guess_cost(value: str) -> float:
     """Logarithm to base 10 of the guesses for a value; 0 for an empty one."""
     n, low = len(value), value.lower()
     plain, each = low.translate(LEET), math.log10(alphabet(value))
+    walk = _run_ends([low[i] + low[i + 1] in NEXT for i in range(n - 1)])
+    again = [_run_ends([value[i] == value[i + unit] for i in range(n - unit)]) for unit in range(1, min(LONGEST_UNIT, n // 2) + 1)]
     best = [0.0] + [math.inf] * n
     fixed = 0.3  # each further segment doubles the ways to order them
     for i in range(n):
@@ -68,16 +80,11 @@ def guess_cost(value: str) -> float:
                 reach(j, fixed + math.log10(rank + 1) + 0.3 * odd)
         if found := DATE.match(value, i):
             reach(found.end(), fixed + math.log10(365 * 60))
-        j = i + 1
-        while j < n and low[j - 1] + low[j] in NEXT:
-            j += 1
+        j = walk[i] + 1 if i < n - 1 else n
         if j - i >= 3:
             reach(j, fixed + math.log10(len(ROWS) * 20 * (j - i)))
-        for unit in range(1, min(LONGEST_UNIT, (n - i) // 2) + 1):
-            j = i + unit
-            while j < n and value[j] == value[j - unit]:
-                j += 1
-            times = (j - i) // unit
+        for unit, ends in enumerate(again[: (n - i) // 2], 1):
+            times = (ends[i] + unit - i) // unit
             if times >= 2 and times * unit >= 3:
                 reach(i + times * unit, fixed + unit * each + math.log10(times))
     return best[n]
@@ -99,7 +106,7 @@ def spans_of(text: str | None) -> list[tuple[str, int, int, float]]:
             s, e = m.span(1)
             value = m[1].rstrip(".:!?)]}")
             e = s + len(value)
-            if len(value) >= GUESS_LENGTH and not any(a < e and s < b for a, b in base) and (cost := guess_cost(value)) >= GUESS_LIMIT and not (value.isalpha() and value.islower()):
+            if len(value) >= GUESS_LENGTH and not any(a < e and s < b for a, b in base) and (cost := guess_cost(value)) >= GUESS_LIMIT:
                 out.append(("guess", s, e, cost))
     return sorted(out, key=lambda x: (x[1], KINDS.index(x[0]), x[2]))
 

@@ -50,13 +50,15 @@ PACKED = "dim int, n int, ids binary, m binary"
 
 def best_of(scores: np.ndarray, ids: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
     """The k best of each row by score, ties to the smaller id. -inf counts as absent."""
-    if scores.shape[1] > k:
-        order = np.argsort(ids, kind="stable")
-        rank = np.empty(len(ids), np.float64)
-        rank[order] = np.arange(len(ids))
-        picked = np.argpartition(-(scores * len(ids) - rank), k - 1, axis=1)[:, :k]
-        return np.take_along_axis(scores, picked, 1), ids[picked]
-    return scores, np.broadcast_to(ids, scores.shape)
+    if scores.shape[1] <= k:
+        return scores, np.broadcast_to(ids, scores.shape)
+    order = np.argsort(ids, kind="stable")
+    scores, ids = scores[:, order], ids[order]
+    last = -np.partition(-scores, k - 1, axis=1)[:, k - 1 : k]  # the k-th best score; of those equal to it the first are taken
+    above, level = scores > last, scores == last
+    taken = above | (level & (np.cumsum(level, 1) <= k - above.sum(1, keepdims=True)))
+    picked = np.nonzero(taken)[1].reshape(len(scores), k)
+    return np.take_along_axis(scores, picked, 1), ids[picked]
 
 
 def multiply(k: int):
@@ -75,6 +77,8 @@ def multiply(k: int):
             for row in batch.to_pylist():
                 dim, ids, queries = row["dim"], np.frombuffer(row["ids"], np.int64), np.frombuffer(row["q_ids"], np.int64)
                 scores = np.frombuffer(row["q_m"], np.float64).reshape(-1, dim) @ np.frombuffer(row["m"], np.float64).reshape(-1, dim).T
+                if scores.size and np.abs(scores).max() >= 2.0**53:
+                    raise ValueError("a product of 2 ** 53 or more is not exact in double precision")
                 scores[queries[:, None] == ids[None, :]] = -np.inf
                 s, v = best_of(scores, ids, k)
                 name = row["q_ids"] + dim.to_bytes(4)

@@ -61,7 +61,7 @@ def contamination(docs, items, n=13):
         w = find(t)
         k = min(n, len(w))
         for a in range(len(w) - k + 1):
-            if w and i is not None:
+            if w:
                 windows[tuple(w[a : a + k])].add(i)
     out = []
     for d, t in docs:
@@ -69,7 +69,7 @@ def contamination(docs, items, n=13):
         for k in {len(x) for x in windows}:
             for a in range(len(w) - k + 1):
                 if found := windows.get(tuple(w[a : a + k])):
-                    ids |= found
+                    ids |= found - {None}
                     hit |= set(range(a, a + k))
         digest = hashlib.sha256(",".join(sorted(map(str, ids))).encode()).hexdigest()
         out.append((d, len(w), len(hit), len(ids), digest, len(hit) > 0 and 20 * len(hit) >= len(w)))

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
@@ -53,14 +53,19 @@ def hamming(a: Column, b: Column) -> Column:
     return F.aggregate(F.zip_with(a, b, lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda s, x: s + x)
 
 
-def hash_text_vector(text: Column, d: int) -> Column:
-    """Signed counts of a text's tokens in d buckets by md5, scaled to unit length; null without tokens."""
-    tokens = F.filter(F.split(F.lower(text), r"[\s.,;:!?]+"), lambda t: t != "")
-    hashed = F.transform(tokens, lambda t: F.md5(t))
-    bucket = F.transform(hashed, lambda h: F.struct(F.pmod(F.conv(F.substring(h, 1, 7), 16, 10).cast("long"), F.lit(d)).cast("int").alias("b"), F.when(F.conv(F.substring(h, 8, 1), 16, 10).cast("int") % 2 == 0, 1.0).otherwise(-1.0).alias("s")))
-    zero = F.array_repeat(F.lit(0.0), d)
-    counts = F.aggregate(bucket, zero, lambda a, x: F.transform(a, lambda v, i: F.when(i == x["b"], v + x["s"]).otherwise(v)))
-    return normalize(counts)
+def text_vectors(df: DataFrame, id: str, text: str, d: int, out: str) -> DataFrame:
+    """id (unique) and signed counts of its text's tokens in d buckets by md5, scaled to unit length; none without tokens.
+
+    Tokens are summed by (id, bucket) before a vector is put together, so a long text is not one task's work.
+    """
+    tokens = df.select(id, F.explode(F.filter(F.split(F.lower(F.col(text)), r"[\s.,;:!?]+"), lambda t: t != "")).alias("t"))
+    h = F.md5("t")
+    bucket = F.pmod(F.conv(F.substring(h, 1, 7), 16, 10).cast("long"), F.lit(d)).cast("int").alias("b")
+    sign = F.when(F.conv(F.substring(h, 8, 1), 16, 10).cast("int") % 2 == 0, 1.0).otherwise(-1.0).alias("s")
+    sums = tokens.select(id, bucket, sign).groupBy(id, "b").agg(F.sum("s").alias("s"))
+    each = sums.groupBy(id).agg(F.map_from_entries(F.collect_list(F.struct("b", "s"))).alias("m"))
+    counts = F.transform(F.sequence(F.lit(0), F.lit(d - 1)), lambda i: F.coalesce(F.try_element_at(F.col("m"), i), F.lit(0.0)))
+    return each.select(id, normalize(counts).alias(out))
 
 
 def register(spark: SparkSession) -> None:

@@ -64,7 +64,7 @@ def roles(reached: DataFrame, assigned: DataFrame) -> DataFrame:
     """role, workers of a run: one coordinator, the allocators, and a processor for each (allocator, partition)."""
     pairs = reached.select("query_id", "part_id").join(assigned, "query_id").select("allocator", "part_id").distinct()
     n = pairs.agg(F.count(F.lit(1)).alias("processors"), F.count_distinct("allocator").alias("allocators"))
-    return n.select(F.inline(F.array(F.struct(F.lit("coordinator").alias("role"), F.lit(1).cast("long").alias("workers")), F.struct(F.lit("allocator"), F.col("allocators")), F.struct(F.lit("processor"), F.col("processors")))))
+    return n.select(F.inline(F.array(F.struct(F.lit("coordinator").alias("role"), F.lit(1).cast("long").alias("workers")), F.struct(F.lit("allocator").alias("role"), F.col("allocators").alias("workers")), F.struct(F.lit("processor").alias("role"), F.col("processors").alias("workers")))))
 
 
 def interleaved(batches: list, prepare, process) -> list:

@@ -177,10 +177,10 @@ for _s in (8, 16, 32, 64):
     _pack(_s)
 
 
-@query(f"WITH {E}, {LONG}, {PLANNED}, {LOHI}, {CODES} SELECT vec_id, dim, code::BIGINT AS word FROM c WHERE dim < 8")
+@query(f"WITH {E}, {LONG}, {PLANNED}, {LOHI}, {CODES} SELECT vec_id, dim, code::BIGINT AS word FROM c")
 def pack_plain(spark, sf_dir):
     plain = code_rows(spark, sf_dir).select("vec_id", *sg.pack_plain(F.col("codes"), PLAN, 16))
-    return plain.select("vec_id", F.posexplode(F.array(*[F.col(f"dim_{j:03d}").cast("long") for j in range(8)])).alias("dim", "word"))
+    return plain.select("vec_id", F.posexplode(F.array(*[F.col(f"dim_{j:03d}").cast("long") for j in range(64)])).alias("dim", "word"))
 
 
 def _extract(name: str, dim: int, s: int, where: str = "true"):
@@ -326,10 +326,10 @@ def described(spark, sf_dir):
 
 
 @query("""WITH d AS (SELECT DISTINCT o_orderpriority AS value FROM orders), r AS (SELECT value, (row_number() OVER (ORDER BY value) - 1)::INT AS code FROM d)
-SELECT o_orderkey AS vec_id, code FROM orders JOIN r ON value = o_orderpriority WHERE o_orderkey < 500""")
+SELECT o_orderkey AS vec_id, code FROM orders JOIN r ON value = o_orderpriority""")
 def attr_codes_categorical(spark, sf_dir):
     orders = tb.load(spark, sf_dir, "orders")
-    return orders.where("o_orderkey < 500").join(F.broadcast(at.dictionary(orders, "o_orderpriority")), F.col("value") == F.col("o_orderpriority")).select(F.col("o_orderkey").alias("vec_id"), "code")
+    return orders.join(F.broadcast(at.dictionary(orders, "o_orderpriority")), F.col("value") == F.col("o_orderpriority")).select(F.col("o_orderkey").alias("vec_id"), "code")
 
 
 @query("""WITH q AS (SELECT quantile_cont(o_totalprice, [0, 0.125, 0.25, 0.375, 0.5, 0.625, 0.75, 0.875, 1]) AS e FROM orders), g AS (SELECT list_transform(e, lambda y: round(y, 9)) AS e FROM q)
@@ -408,12 +408,12 @@ def lowbit_codes(spark, sf_dir):
     return low_words(spark, sf_dir).select("vec_id", F.lpad(F.conv(F.hex("low_00"), 16, 2), 64, "0").alias("bits"))
 
 
-HAM = f"{LOW}, ham AS (SELECT q.vec_id AS query_id, c.vec_id, list_sum(list_transform(list_zip(q.b, c.b), lambda p: abs(p[1] - p[2])))::INT AS ham FROM bit q, bit c WHERE q.vec_id % 50 = 0 AND c.vec_id % 10 <> 0)"
+HAM = f"{LOW}, ham AS (SELECT q.vec_id AS query_id, c.vec_id, list_sum(list_transform(list_zip(q.b, c.b), lambda p: abs(p[1] - p[2])))::INT AS ham FROM bit q, bit c WHERE q.vec_id % 10 = 0 AND c.vec_id % 10 <> 0)"
 
 
 def hamming_pairs(spark, sf_dir) -> DataFrame:
     low = low_words(spark, sf_dir)
-    queries = low.where("vec_id % 50 = 0").select(F.col("vec_id").alias("query_id"), F.col("low_00").alias("q"))
+    queries = low.where("vec_id % 10 = 0").select(F.col("vec_id").alias("query_id"), F.col("low_00").alias("q"))
     return low.where("vec_id % 10 <> 0").crossJoin(F.broadcast(queries)).select("query_id", "vec_id", lb.distance([(F.col("low_00"), F.col("q"))]).alias("ham"))
 
 
@@ -427,7 +427,7 @@ def lowbit_prune(spark, sf_dir):
     return lb.prune(hamming_pairs(spark, sf_dir), 10, 20, "query_id")
 
 
-BOUND = f"""{E}, {LONG}, {PLANNED}, {LOHI}, {CODES}, qv AS (SELECT vec_id AS query_id, dim, x AS q FROM v WHERE vec_id % 100 = 0),
+BOUND = f"""{E}, {LONG}, {PLANNED}, {LOHI}, {CODES}, qv AS (SELECT vec_id AS query_id, dim, x AS q FROM v WHERE vec_id % 10 = 0),
 bnd AS (SELECT query_id, c.vec_id, round(sqrt(sum(greatest(edges[code + 1] - q, q - edges[code + 2], 0) ** 2)), 7) AS bound, round(sqrt(sum((c.x - q) ** 2)), 7) AS dist FROM c JOIN qv USING (dim) WHERE c.vec_id % 10 <> 0 GROUP BY query_id, c.vec_id)"""
 
 
@@ -436,7 +436,7 @@ def bounds(spark, sf_dir) -> DataFrame:
     values = bt.dims(tb.embeddings(spark, sf_dir), "embedding", "vec_id")
     edges = qz.uniform(values, plan_table(spark))
     cells = qz.encode(values, edges).join(edges, "dim").select("vec_id", "dim", "x", F.element_at("edges", F.col("code") + 1).alias("lo"), F.element_at("edges", F.col("code") + 2).alias("hi"))
-    queries = values.where("vec_id % 100 = 0").select(F.col("vec_id").alias("query_id"), "dim", F.col("x").alias("q"))
+    queries = values.where("vec_id % 10 = 0").select(F.col("vec_id").alias("query_id"), "dim", F.col("x").alias("q"))
     gap = lo.gap(F.col("q"), F.col("lo"), F.col("hi"))
     each = cells.where("vec_id % 10 <> 0").join(queries, "dim").groupBy("query_id", "vec_id")
     return each.agg(F.round(F.sqrt(F.sum(gap * gap)), 7).alias("bound"), F.round(F.sqrt(F.sum((F.col("x") - F.col("q")) * (F.col("x") - F.col("q")))), 7).alias("dist"))

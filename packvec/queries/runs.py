@@ -35,9 +35,9 @@ for _shape in ((10, 1), (4, 2), (4, 3), (5, 3), (6, 3), (4, 4), (1, 3)):
     _tree(*_shape)
 
 
-@query("WITH a AS (SELECT ntile(84) OVER (ORDER BY o_orderkey) AS a FROM orders WHERE o_orderkey < 1000), n AS (SELECT count(*) AS n FROM a GROUP BY a) SELECT count(*) AS workers, min(n) AS least, max(n) AS most, round(avg(n), 4) AS mean FROM n")
+@query("WITH a AS (SELECT ntile(84) OVER (ORDER BY o_orderkey) AS a FROM orders), n AS (SELECT count(*) AS n FROM a GROUP BY a) SELECT count(*) AS workers, min(n) AS least, max(n) AS most, round(avg(n), 4) AS mean FROM n")
 def allocator_load(spark, sf_dir):
-    queries = tb.load(spark, sf_dir, "orders").where("o_orderkey < 1000").select(F.col("o_orderkey").alias("query_id"))
+    queries = tb.load(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("query_id"))
     return dispatch.load(dispatch.assign(queries, 84))
 
 
@@ -255,7 +255,7 @@ h AS (SELECT vec_id, ('0x' || substring(md5(w), 1, 7))::BIGINT % 64 AS b, CASE W
 c AS (SELECT vec_id, b, sum(s)::DOUBLE AS n FROM h GROUP BY ALL), z AS (SELECT vec_id, sqrt(sum(n * n)) AS z FROM c GROUP BY vec_id)
 SELECT vec_id, b::INT AS dim, round(n / z, 9) AS x FROM c JOIN z USING (vec_id) WHERE n <> 0""")
 def document_vectors(spark, sf_dir):
-    docs = tb.load(spark, sf_dir, "documents").select(F.col("doc_id").alias("vec_id"), v.hash_text_vector(F.col("text"), 64).alias("e"))
+    docs = v.text_vectors(tb.load(spark, sf_dir, "documents").select(F.col("doc_id").alias("vec_id"), "text"), "vec_id", "text", 64, "e")
     return docs.select("vec_id", F.posexplode("e").alias("dim", "x")).where("x <> 0").withColumn("x", F.round("x", 9))
 
 

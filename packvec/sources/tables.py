@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from packvec.functions.vectors import hash_text_vector
+from packvec.functions.vectors import text_vectors
 
 #: The experiments' conjunctive predicate of about 8 %.
 EIGHT_PERCENT = "totalprice BETWEEN 100000 AND 400000 AND orderdate < timestamp_ntz '1998-07-01' AND priority <= '2-HIGH' AND (status < 'P' OR status > 'P')"
@@ -47,8 +47,10 @@ def uniform_attributes(df: DataFrame, n: int = 4) -> DataFrame:
 
 def documents_vd(spark: SparkSession, sf_dir: str, d: int = 64) -> DataFrame:
     """VD: hashed document vectors with lang, source, n_chars and, where labelled, quality and toxic."""
-    docs = load(spark, sf_dir, "documents").select(F.col("doc_id").alias("vec_id"), hash_text_vector(F.col("text"), d).alias("embedding"), "lang", "source", "n_chars")
-    return docs.where(F.col("embedding").isNotNull()).join(load(spark, sf_dir, "labels"), F.col("vec_id") == F.col("doc_id"), "left").drop("doc_id")
+    docs = load(spark, sf_dir, "documents").select(F.col("doc_id").alias("vec_id"), "text", "lang", "source", "n_chars")
+    vectors = text_vectors(docs.select(F.col("vec_id").alias("_id"), "text"), "_id", "text", d, "embedding").where(F.col("embedding").isNotNull())
+    found = docs.drop("text").join(vectors, F.col("vec_id") == F.col("_id")).select("vec_id", "embedding", "lang", "source", "n_chars")
+    return found.join(load(spark, sf_dir, "labels"), F.col("vec_id") == F.col("doc_id"), "left").drop("doc_id")
 
 
 def lineitem_vl(spark: SparkSession, sf_dir: str) -> DataFrame:

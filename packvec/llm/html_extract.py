@@ -37,8 +37,8 @@ BAD_PARTS = {"ad", "ads", "nav", "menu", "aside", "toc", "tags", "meta", "byline
 BAD_STARTS = ("advert", "sponsor", "promo", "sidebar", "comment", "cookie", "consent", "gdpr", "notice", "footer", "header", "masthead", "navbar", "navigation", "breadcrumb", "related", "recommend", "newsletter", "subscri", "disqus", "respond", "reply", "replies", "discussion", "paywall", "pagination", "pager", "widget", "popup", "modal", "outbrain", "taboola", "topbar")
 GOOD_PARTS = {"article", "content", "main", "post", "entry", "story", "body", "text"}
 
-#: Weights of the classifier: a parameter, of the order of the ties.
-WEIGHTS = {"bias": -0.4, "outside": -2.5, "bad": -2.5, "article": 0.6, "good": 0.4, "heading": 0.5, "paragraph": 0.8, "item": -0.6, "links": -3.5, "length": 0.7, "sentence": 0.5, "symbol": -1.5}
+#: Weights of the classifier: a parameter. Named boilerplate outweighs all ties of a block; the rest is of their order.
+WEIGHTS = {"bias": -0.4, "outside": -8.0, "bad": -8.0, "article": 0.6, "good": 0.4, "heading": 0.5, "paragraph": 0.8, "item": -0.6, "links": -3.5, "length": 0.7, "sentence": 0.5, "symbol": -1.5}
 #: Ties between neighbours under one parent, neighbours elsewhere, and the next block of one parent further on.
 TIES = (2.0, 0.4, 0.8)
 

@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 
 from packvec.llm import text_kernel as K
 from packvec.llm.common import bounded, written
-from packvec.llm.components import components
+from packvec.llm.components import Forest, components
 
 #: Sets in a block of a large cluster or crowd; sets of a bucket whose pairs are all candidates; sets of a signature that a task sends on.
 BLOCK, FEW, SENT = 512, 6, 4
@@ -433,22 +433,6 @@ def _folded_list(packed: list[bytes], bins: int) -> np.ndarray:
     return out
 
 
-class Forest:
-    def __init__(self) -> None:
-        self.up: dict[int, int] = {}
-
-    def root(self, i: int) -> int:
-        up = self.up
-        while (j := up.get(i, i)) != i:
-            up[i] = up.get(j, j)
-            i = up[i]
-        return i
-
-    def join(self, i: int, j: int) -> None:
-        i, j = self.root(i), self.root(j)
-        self.up[max(i, j)] = min(i, j)
-
-
 def fetch(n: int, clashes: frozenset[int]):
     """(name, text) rows: each set's text once a task, and only if it is the set's."""
 

@@ -54,6 +54,27 @@ def test_components_chain(spark):
     assert got == {**{i: 0 for i in range(61)}, 100: 100, 101: 100, 103: 100}
 
 
+@pytest.mark.parametrize("held", [1, 7, 500_000])
+def test_components_of_any_shape(spark, held):
+    draw = random.Random(held)
+    edges = [(draw.randrange(120), draw.randrange(120)) for _ in range(90)] + [(500, 500)] + [(1000, 1000 + i) for i in range(60)]
+    up = {}
+    for a, b in edges:
+        while up.get(a, a) != a:
+            a = up[a]
+        while up.get(b, b) != b:
+            b = up[b]
+        up[max(a, b)] = min(a, b)
+    want = {}
+    for n in {x for a, b in edges for x in (a, b) if a != b}:
+        r = n
+        while up.get(r, r) != r:
+            r = up[r]
+        want[n] = r
+    found = components(spark.createDataFrame(edges, "a long, b long").repartition(3), held=held).collect()
+    assert len(found) == len(want) and {r["node"]: r["root"] for r in found} == want
+
+
 @pytest.mark.parametrize("heavy", [2_000, 1])
 def test_substring_removal(spark, heavy):
     rows = corpus(4, [10, 36, 60, 120, 400])

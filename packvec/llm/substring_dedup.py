@@ -6,12 +6,14 @@ windows that share a minimiser form a super-k-mer. Equal windows have equal mini
 1. minimisers are counted, and only those with two or more places, or with a place that may repeat inside itself, go on;
 2. a text's super-k-mers with such minimisers travel as packed strings of words to the minimiser's bucket, where their
    windows are sorted by hash and compared word by word;
-3. of a minimiser with more than HEAVY places (a passage that very many texts share) each task compares its own
-   windows, by two 64-bit hashes each, marks those it has twice, and sends one place of each distinct window on, packed
-   by hash range; so a window reaches its range once a task at most, however many texts share it;
+3. a minimiser with more than HEAVY places (a passage that very many texts share) would fill one task, so each task
+   compares its own windows of it by words, marks those it has twice, and sends the hash of one place of each distinct
+   window on; only windows whose hash another task has too travel as packed strings, to the bucket of that hash, where
+   they are compared by words as in 2. So a window is sent once a task at most, however many texts share it;
 4. the repeated windows come back to their texts.
 
-Equal texts have one key and are one text with a count; if it is over 1, all their windows are repeated.
+Equal texts have one key and are one text with a count; if it is over 1, all their windows are repeated. Keys are 64
+bits of the text, confirmed by 64 others: where different texts share the first, the second is used.
 """
 
 from __future__ import annotations
@@ -25,11 +27,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from packvec.llm import text_kernel as K
+from packvec.llm.common import bounded, written
 
 WINDOW, MINIMISER, HEAVY = 35, 8, 2_000
 #: Windows of a super-k-mer at most, and rows of a bucket that are sorted at once (a bucket has HEAVY rows at most).
 LONGEST, AT_ONCE = 256, 20_000
-_SECOND = np.uint64(0xD6E8FEB86659FD93)
+#: Windows of heavy minimisers that a task compares at once.
+HELD = 200_000
 
 
 def sliding_minimum(x: np.ndarray, n: int) -> np.ndarray:
@@ -128,87 +132,90 @@ def _each(batches: Iterator[pa.RecordBatch], heavy: bool):
                 yield data, s, e, hashes, found
 
 
+def _strings(data: np.ndarray, s: np.ndarray, e: np.ndarray, found: list[tuple], window: int) -> list[bytes]:
+    """The words of places, joined by one space."""
+    return [b" ".join(data[s[first] : e[first + n + window - 2]].tobytes().split()) for _, _, first, _, n in found]
+
+
 def pack(window: int):
     """Packed super-k-mers of ordinary minimisers."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for data, s, e, _, found in _each(batches, False):
-            rows = [(mini, k, start, n, b" ".join(data[s[first] : e[first + n + window - 2]].tobytes().split())) for k, mini, first, start, n in found]
+            rows = [(mini, k, start, n, x) for (k, mini, _, start, n), x in zip(found, _strings(data, s, e, found, window))]
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary()))], names=["mini", "key", "start", "n", "packed"])
 
     return run
 
 
-PLACE = np.dtype([("h1", "<i8"), ("h2", "<i8"), ("key", "<i8"), ("start", "<i8")])
-MARKS = "range int, places binary, key long, start int, n int"
+PLACES = "mini long, key long, start int, n int"
 
 
-def _runs(rows: np.ndarray) -> pa.RecordBatch:
-    """Marks of places, consecutive ones joined."""
-    key, start = (np.unique(rows[["key", "start"]])[c] for c in ("key", "start")) if len(rows) else (np.zeros(0, np.int64),) * 2
+def _marks(key: np.ndarray, start: np.ndarray) -> pa.RecordBatch:
+    """Marks of distinct places, consecutive ones joined."""
+    order = np.lexsort((start, key))
+    key, start = key[order], start[order]
     new = np.r_[True, (key[1:] != key[:-1]) | (start[1:] != start[:-1] + 1)][: len(key)]
     begin = np.flatnonzero(new)
-    n = len(begin)
-    return pa.RecordBatch.from_arrays([pa.nulls(n, pa.int32()), pa.nulls(n, pa.binary()), pa.array(key[begin]), pa.array(start[begin].astype(np.int32)), pa.array(np.diff(np.r_[begin, len(key)]).astype(np.int32))], names=["range", "places", "key", "start", "n"])
-
+    return pa.RecordBatch.from_arrays([pa.nulls(len(begin), pa.int64()), pa.array(key[begin]), pa.array(start[begin].astype(np.int32)), pa.array(np.diff(np.r_[begin, len(key)]).astype(np.int32))], names=["mini", "key", "start", "n"])
 
-def _split(rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(places of windows that stand at two places or more, one place of each window)."""
-    rows = np.unique(rows)  # by hashes, then place
-    first = np.ones(len(rows), bool)
-    first[1:] = (rows["h1"][1:] != rows["h1"][:-1]) | (rows["h2"][1:] != rows["h2"][:-1])
-    alone = first & np.r_[first[1:], True][: len(rows)]
-    return rows[~alone], rows[first]
 
-
-def sift(window: int, ranges: int = 256, held: int = 500_000):
-    """Places of heavy minimisers into marks of windows that this task has twice, and one place of each window by hash range."""
+def sift(window: int, held: int = HELD):
+    """Places of heavy minimisers into marks (without mini) of windows that this task has twice, and one place of each
+    distinct window under its hash."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        parts: list[np.ndarray] = []
+        parts: list[tuple[int, int, int, bytes]] = []
 
-        def out():
-            twice, one = _split(np.concatenate(parts))
+        def out() -> Iterator[pa.RecordBatch]:
+            keys, starts, counts, packed = zip(*parts)
             parts.clear()
-            yield _runs(twice)
-            to = (one["h1"].view(np.uint64) % np.uint64(ranges)).astype(np.int32)
-            order = np.argsort(to, kind="stable")
-            cut = np.searchsorted(to[order], np.arange(ranges + 1))
-            rows = [(r, one[order[a:b]].tobytes()) for r, (a, b) in enumerate(zip(cut, cut[1:])) if b > a]
-            n = len(rows)
-            yield pa.RecordBatch.from_arrays([pa.array([r for r, _ in rows], pa.int32()), pa.array([x for _, x in rows], pa.binary()), pa.nulls(n, pa.int64()), pa.nulls(n, pa.int32()), pa.nulls(n, pa.int32())], names=["range", "places", "key", "start", "n"])
-
-        for _, _, _, hashes, found in _each(batches, True):
-            n = np.array([f[4] for f in found])
-            at = K.ragged(np.array([f[2] for f in found]), n)
-            rows = np.empty(len(at), PLACE)
-            rows["h1"], rows["h2"] = K.signed(K.gram_hashes(hashes, window)[at]), K.signed(K.gram_hashes(K.mix(hashes ^ _SECOND), window)[at])
-            rows["key"], rows["start"] = np.repeat(np.array([f[0] for f in found], np.int64), n), K.ragged(np.array([f[3] for f in found]), n)
-            parts.append(rows)
-            if sum(map(len, parts)) > held:
-                yield from out()
+            key, start, at, kind = window_classes(np.array(keys, np.int64), np.array(starts, np.int64), np.array(counts, np.int64), packed, window)
+            again = np.bincount(kind)[kind] > 1
+            yield _marks(key[again], start[again])
+            data = np.frombuffer(b"".join(packed), np.uint8)
+            s, e, _ = K.words(data, np.cumsum([0, *map(len, packed)]))
+            one = np.r_[True, kind[1:] != kind[:-1]]
+            named = K.signed(K.gram_hashes(K.word_hashes(data, s, e), window)[at[one]])
+            yield pa.RecordBatch.from_arrays([pa.array(named), pa.array(key[one]), pa.array(start[one].astype(np.int32)), pa.array(np.ones(one.sum(), np.int32))], names=["mini", "key", "start", "n"])
+
+        windows = 0
+        for data, s, e, _, found in _each(batches, True):
+            for (k, _, _, start, n), x in zip(found, _strings(data, s, e, found, window)):
+                parts.append((k, start, n, x))
+                windows += n
+                if windows >= held:
+                    yield from out()
+                    windows = 0
         if parts:
             yield from out()
 
     return run
 
 
-def gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Packed places, sorted by hash range, into marks of windows that two tasks or more have."""
-    group, parts = None, []
+def twins(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Places sorted by hash into those whose hash another place has."""
+    last: pa.RecordBatch | None = None  # the last place so far, and whether it went out
+    gone = False
     for batch in batches:
-        for r, x in zip(batch.column(0).to_pylist(), batch.column(1)):
-            if r != group and parts:
-                yield _runs(_split(np.concatenate(parts))[0])
-                parts = []
-            group = r
-            parts.append(np.frombuffer(x.as_buffer(), PLACE))
-    if parts:
-        yield _runs(_split(np.concatenate(parts))[0])
-
-
-def repeated_windows(keys: np.ndarray, starts: np.ndarray, counts: np.ndarray, packed: list[bytes], window: int) -> tuple[np.ndarray, np.ndarray]:
-    """(key, start) of windows whose words also stand at another (key, start) of these super-k-mers."""
+        if batch.num_rows == 0:
+            continue
+        if last is not None:
+            batch = pa.RecordBatch.from_arrays([pa.concat_arrays([x, y]) for x, y in zip(last.columns, batch.columns)], names=batch.schema.names)
+        h = batch.column(0).to_numpy()
+        same = h[1:] == h[:-1]
+        hit = np.r_[False, same] | np.r_[same, False]
+        # The last place's like may follow in the next batch; the first was sent before if it had one.
+        send = hit.copy()
+        if last is not None and gone:
+            send[0] = False
+        yield batch.filter(pa.array(send))
+        gone = bool(hit[-1]) or (len(h) == 1 and gone)
+        last = batch.slice(batch.num_rows - 1)
+
+
+def window_classes(keys: np.ndarray, starts: np.ndarray, counts: np.ndarray, packed: list[bytes], window: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(key, start, first word, class) of the distinct windows of these super-k-mers, sorted by class; a class is one sequence of words."""
     names: dict[bytes, int] = {}
     ids = np.array([names.setdefault(w, len(names)) for p in packed for w in p.split(b" ")], np.int64)
     firsts = np.cumsum(counts + window - 1) - (counts + window - 1)
@@ -217,33 +224,29 @@ def repeated_windows(keys: np.ndarray, starts: np.ndarray, counts: np.ndarray, p
     hashes = K.gram_hashes(K.mix(ids.astype(np.uint64) + np.uint64(1)), window)[at]
     order = np.lexsort((start, key, hashes))
     at, key, start, hashes = at[order], key[order], start[order], hashes[order]
-    other = np.r_[True, (hashes[1:] != hashes[:-1]) | (key[1:] != key[:-1]) | (start[1:] != start[:-1])]
+    other = np.r_[True, (hashes[1:] != hashes[:-1]) | (key[1:] != key[:-1]) | (start[1:] != start[:-1])][: len(at)]
     at, key, start, hashes = at[other], key[other], start[other], hashes[other]
-    same = hashes[1:] == hashes[:-1]
-    near = np.flatnonzero(same)
+    kind = np.cumsum(np.r_[False, hashes[1:] != hashes[:-1]][: len(at)])
+    near = np.flatnonzero(hashes[1:] == hashes[:-1])
     for i in range(0, len(near), 50_000):  # equal hashes are taken at their word only after the words agree
         p = near[i : i + 50_000]
-        agree = (ids[at[p][:, None] + np.arange(window)] == ids[at[p + 1][:, None] + np.arange(window)]).all(1)
-        if not agree.all():
-            return _by_words(ids, at, key, start, window)
-    hit = np.zeros(len(at), bool)
-    hit[near] = True
-    hit[near + 1] = True
-    return key[hit], start[hit]
+        if not (ids[at[p][:, None] + np.arange(window)] == ids[at[p + 1][:, None] + np.arange(window)]).all():
+            found: dict[bytes, int] = {}
+            kind = np.array([found.setdefault(ids[a : a + window].tobytes(), len(found)) for a in at], np.int64)
+            order = np.argsort(kind, kind="stable")
+            return key[order], start[order], at[order], kind[order]
+    return key, start, at, kind
 
 
-def _by_words(ids: np.ndarray, at: np.ndarray, key: np.ndarray, start: np.ndarray, window: int) -> tuple[np.ndarray, np.ndarray]:
-    """As repeated_windows, for places that are distinct, without hashes."""
-    found: dict[bytes, int] = {}
-    names = [ids[a : a + window].tobytes() for a in at]
-    for n in names:
-        found[n] = found.get(n, 0) + 1
-    hit = np.array([found[n] > 1 for n in names], bool)
+def repeated_windows(keys: np.ndarray, starts: np.ndarray, counts: np.ndarray, packed: list[bytes], window: int) -> tuple[np.ndarray, np.ndarray]:
+    """(key, start) of windows whose words also stand at another (key, start) of these super-k-mers."""
+    key, start, _, kind = window_classes(keys, starts, counts, packed, window)
+    hit = np.bincount(kind)[kind] > 1
     return key[hit], start[hit]
 
 
 def compare(window: int):
-    """Packed super-k-mers, sorted by minimiser, into (key, start) of repeated windows; whole buckets at a time."""
+    """Packed super-k-mers, sorted by minimiser, into marks of repeated windows; whole buckets at a time."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[pa.RecordBatch] = []
@@ -251,11 +254,7 @@ def compare(window: int):
         def out(t: pa.Table):
             column = lambda c: t.column(c).to_numpy()
             key, start = repeated_windows(column("key"), column("start").astype(np.int64), column("n").astype(np.int64), t.column("packed").to_pylist(), window)
-            order = np.lexsort((start, key))
-            key, start = key[order], start[order]
-            new = np.r_[True, (key[1:] != key[:-1]) | (start[1:] != start[:-1] + 1)][: len(key)]
-            begin = np.flatnonzero(new)
-            return pa.RecordBatch.from_arrays([pa.array(key[begin]), pa.array(start[begin].astype(np.int32)), pa.array(np.diff(np.r_[begin, len(key)]).astype(np.int32))], names=["key", "start", "n"])
+            return _marks(key, start)
 
         for batch in batches:
             held.append(batch)
@@ -305,25 +304,34 @@ def remove_repeats(df: DataFrame, id: str = "doc_id", text: str = "text", window
 
     Edge cases: null and empty texts have no words; texts shorter than a window keep all; repeated rows are copies of
     each other, whose windows are all repeated; ids may repeat or be null; other columns are not read; an empty table
-    gives an empty result. Equal texts are known by a 64-bit hash.
+    gives an empty result. heavy decides only how windows are dealt to tasks, never which are repeated.
     """
     docs = df.select(F.col(id).alias("id"), F.coalesce(F.col(text), F.lit("")).alias("text")).withColumn("key", F.xxhash64("text"))
+    other = F.xxhash64(F.lit(1), "text")
+    copies = docs.groupBy("key").agg(F.count(F.lit(1)).alias("copies"), F.min(other).alias("low"), F.max(other).alias("high"))
+    copies = written(copies.where("copies > 1"), "copies")
+    clashes = [r["key"] for r in copies.where("low != high").select("key").collect()]  # one in 2 ** 64 pairs of texts
+    if clashes:
+        docs = docs.withColumn("key", F.when(F.col("key").isin(*clashes), other).otherwise(F.col("key")))
+        copies = docs.groupBy("key").agg(F.count(F.lit(1)).alias("copies")).where("copies > 1")
     places = docs.select("key", "text").mapInArrow(find(window, minimiser), "mini long, occ long, key long, start int, n int, inside boolean")
     counted = places.groupBy("mini").agg(F.min("occ").alias("low"), F.max("occ").alias("high"), F.count(F.lit(1)).alias("places"), F.max("inside").alias("inside"))
     shared = counted.where((F.col("low") != F.col("high")) | F.col("inside")).select(F.col("mini").alias("_mini"), (F.col("places") > heavy).alias("heavy"))
-    kept = places.join(shared, F.col("mini") == F.col("_mini")).groupBy("key").agg(F.collect_set(F.struct("mini", "start", "n", "heavy")).alias("places"))
+    gathered = lambda x: x.groupBy("key").agg(F.collect_set(F.struct("mini", "start", "n", "heavy")).alias("places")).withColumnRenamed("key", "_key")
+    kept = gathered(places.join(shared, F.col("mini") == F.col("_mini")))
 
-    texts = docs.select("id", "key", "text").join(kept.withColumnRenamed("key", "_key"), F.col("key") == F.col("_key")).select("id", "key", "text", "places")
+    of = lambda x: docs.select("id", "key", "text").join(x, F.col("key") == F.col("_key")).select("id", "key", "text", "places")
+    texts = of(kept)
     has = lambda kind: texts.where(F.exists("places", lambda p: p["heavy"] == F.lit(kind)))
-    packed = has(False).mapInArrow(pack(window), "mini long, key long, start int, n int, packed binary")
-    by_bucket = packed.repartition("mini").sortWithinPartitions("mini").mapInArrow(compare(window), "key long, start int, n int")
-    sifted = has(True).mapInArrow(sift(window, max(64, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")))), MARKS)
-    ranges = sifted.where(F.col("range").isNotNull()).select("range", "places").repartition("range").sortWithinPartitions("range")
-    by_window = sifted.where(F.col("range").isNull()).unionByName(ranges.mapInArrow(gather, MARKS)).select("key", "start", "n")
-    marks = by_bucket.unionByName(by_window).groupBy("key").agg(F.collect_set(F.struct("start", "n")).alias("marks"))
-    copies = docs.groupBy("key").agg(F.count(F.lit(1)).alias("copies"))
-    known = copies.join(marks, "key", "left").select(F.col("key").alias("_key"), "copies", "marks").where((F.col("copies") > 1) | F.col("marks").isNotNull())
-    judged = docs.select("id", "key", "text").join(known, F.col("key") == F.col("_key"), "left").select("id", "text", F.coalesce("copies", F.lit(1)).alias("copies"), "marks")
+    strings = lambda x: x.mapInArrow(pack(window), "mini long, key long, start int, n int, packed binary")
+    sifted = written(has(True).mapInArrow(sift(window), PLACES), "sifted")
+    met = sifted.where(F.col("mini").isNotNull()).repartition("mini").sortWithinPartitions("mini").mapInArrow(twins, PLACES)
+    again = written(gathered(met.withColumn("heavy", F.lit(False))), "twins")
+    packed = strings(has(False)).unionByName(strings(of(bounded(again))))
+    by_bucket = packed.repartition("mini").sortWithinPartitions("mini").mapInArrow(compare(window), PLACES)
+    marks = by_bucket.unionByName(sifted.where(F.col("mini").isNull())).groupBy("key").agg(F.collect_set(F.struct("start", "n")).alias("marks"))
+    known = copies.select("key", "copies").join(marks, "key", "full").select(F.col("key").alias("_key"), "copies", "marks")
+    judged = docs.select("id", "key", "text").join(known, F.col("key") == F.col("_key"), "left").select("id", "text", F.coalesce("copies", F.lit(1)).cast("long").alias("copies"), "marks")
     kind = df.schema[id].dataType.simpleString()
     out = judged.mapInArrow(finish(window, whole), f"id {kind}, n_words long, n_removed long, kept_sha256 string" + ", kept string" * whole)
     return out.withColumnRenamed("id", id)

@@ -103,3 +103,32 @@ def test_substring_repeats_inside_one_place(spark, heavy):
 
 def test_substring_empty(spark):
     assert substring_dedup.remove_repeats(spark.createDataFrame([], SCHEMA)).collect() == []
+
+
+def test_twins_across_batches():
+    import pyarrow as pa
+
+    def rows(h, first):
+        n = len(h)
+        return pa.RecordBatch.from_arrays([pa.array(h, pa.int64()), pa.array(range(first, first + n), pa.int64()), pa.array([0] * n, pa.int32()), pa.array([1] * n, pa.int32())], names=["mini", "key", "start", "n"])
+
+    h = [1, 2, 2, 3, 4, 4, 4, 4, 5, 6, 6, 7]
+    for cut in range(1, 12):
+        for size in (1, 2, 5):
+            batches = [rows(h[:cut], 0)] + [rows(h[i : i + size], i) for i in range(cut, 12, size)]
+            found = [k for b in substring_dedup.twins(iter(batches)) for k in b.column(1).to_pylist()]
+            assert found == [1, 2, 4, 5, 6, 7, 9, 10]
+
+
+def test_windows_whose_hashes_clash(monkeypatch):
+    real = substring_dedup.K.gram_hashes
+    monkeypatch.setattr(substring_dedup.K, "gram_hashes", lambda h, n: real(h, n) % substring_dedup.np.uint64(3))
+    rnd = random.Random(5)
+    lines = [[rnd.choice("abc") for _ in range(9)] for _ in range(40)]
+    keys, starts, counts = (substring_dedup.np.array(x) for x in (range(40), [0] * 40, [6] * 40))
+    got = substring_dedup.repeated_windows(keys, starts, counts, [" ".join(x).encode() for x in lines], 4)
+    seen = {}
+    for k, x in enumerate(lines):
+        for i in range(6):
+            seen.setdefault(tuple(x[i : i + 4]), []).append((k, i))
+    assert sorted(zip(*map(list, got))) == sorted(p for v in seen.values() if len(v) > 1 for p in v)

@@ -200,8 +200,9 @@ def twins(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         if batch.num_rows == 0:
             continue
-        if last is not None:
-            batch = pa.RecordBatch.from_arrays([pa.concat_arrays([x, y]) for x, y in zip(last.columns, batch.columns)], names=batch.schema.names)
+        # Built anew each time: batches that go out must share one schema, whatever nulls the input declares.
+        columns = batch.columns if last is None else [pa.concat_arrays([x, y]) for x, y in zip(last.columns, batch.columns)]
+        batch = pa.RecordBatch.from_arrays(columns, names=["mini", "key", "start", "n"])
         h = batch.column(0).to_numpy()
         same = h[1:] == h[:-1]
         hit = np.r_[False, same] | np.r_[same, False]

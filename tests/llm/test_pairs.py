@@ -110,13 +110,16 @@ def test_twins_across_batches():
 
     def rows(h, first):
         n = len(h)
-        return pa.RecordBatch.from_arrays([pa.array(h, pa.int64()), pa.array(range(first, first + n), pa.int64()), pa.array([0] * n, pa.int32()), pa.array([1] * n, pa.int32())], names=["mini", "key", "start", "n"])
+        schema = pa.schema([pa.field(c, t, nullable=False) for c, t in (("mini", pa.int64()), ("key", pa.int64()), ("start", pa.int32()), ("n", pa.int32()))])
+        return pa.RecordBatch.from_arrays([pa.array(h, pa.int64()), pa.array(range(first, first + n), pa.int64()), pa.array([0] * n, pa.int32()), pa.array([1] * n, pa.int32())], schema=schema)
 
     h = [1, 2, 2, 3, 4, 4, 4, 4, 5, 6, 6, 7]
     for cut in range(1, 12):
         for size in (1, 2, 5):
             batches = [rows(h[:cut], 0)] + [rows(h[i : i + size], i) for i in range(cut, 12, size)]
-            found = [k for b in substring_dedup.twins(iter(batches)) for k in b.column(1).to_pylist()]
+            out = list(substring_dedup.twins(iter(batches)))
+            assert len({b.schema for b in out}) == 1
+            found = [k for b in out for k in b.column(1).to_pylist()]
             assert found == [1, 2, 4, 5, 6, 7, 9, 10]
 
 

@@ -319,7 +319,7 @@ def remove_repeats(df: DataFrame, id: str = "doc_id", text: str = "text", window
     counted = places.groupBy("mini").agg(F.min("occ").alias("low"), F.max("occ").alias("high"), F.count(F.lit(1)).alias("places"), F.max("inside").alias("inside"))
     shared = counted.where((F.col("low") != F.col("high")) | F.col("inside")).select(F.col("mini").alias("_mini"), (F.col("places") > heavy).alias("heavy"))
     gathered = lambda x: x.groupBy("key").agg(F.collect_set(F.struct("mini", "start", "n", "heavy")).alias("places")).withColumnRenamed("key", "_key")
-    kept = gathered(places.join(shared, F.col("mini") == F.col("_mini")))
+    kept = written(gathered(places.join(shared, F.col("mini") == F.col("_mini"))), "kept")
 
     of = lambda x: docs.select("id", "key", "text").join(x, F.col("key") == F.col("_key")).select("id", "key", "text", "places")
     texts = of(kept)

@@ -11,7 +11,7 @@ pair is lost, whatever its size. Equal sets count once.
 1. Texts give (signature, set) rows. A task that has a signature of many sets sends one of them on and links the others
    to it, so a signature that a third of all sets share reaches its partition a few times a task.
 2. In a bucket of few sets all pairs are candidates; in a crowd each set is one with a centre of its share of the crowd.
-3. Candidates are sifted by sketches (counts of grams in bins: their difference never exceeds the symmetric difference),
+3. Candidates are sifted by sketches (parities of grams in bins: they differ in no more bins than the sets in grams),
    then compared by their whole sets, one copy of each set for a cluster of candidates, or a pair of blocks of a large one.
 4. Crowds whose sets are not all in one component by then are compared across components, blocks against blocks, by
    sketches and then by whole sets: first each set with its nearest, then all pairs of what is still apart.
@@ -130,36 +130,33 @@ def set_names(grams: np.ndarray, begins: np.ndarray, clashes: frozenset[int] = f
 
 
 def sketches(grams: np.ndarray, begins: np.ndarray) -> list[bytes]:
-    """Counts modulo 16 of each set's grams in bins, two a byte: a power of two of bins, a fourth of the grams or more."""
+    """Parities of the counts of each set's grams in bins, eight a byte: a power of two of bins, two a gram or more."""
     sizes = np.diff(begins)
-    bins = np.maximum(BINS, 1 << np.ceil(np.log2(np.maximum(sizes, 1) / 4)).clip(0).astype(np.int64))
+    bins = np.maximum(BINS, 1 << np.ceil(np.log2(np.maximum(sizes, 1) * 2)).astype(np.int64))
     at = np.cumsum(bins) - bins
     owner = np.repeat(np.arange(len(sizes)), sizes)
-    place = at[owner] + (K.mix(grams) >> np.uint64(40)).astype(np.int64) % bins[owner]
-    counts = (np.bincount(place, minlength=int(bins.sum())) & 15).astype(np.uint8)
-    packed = counts[0::2] | (counts[1::2] << 4)
-    return [packed[a // 2 : (a + b) // 2].tobytes() if s else b"" for a, b, s in zip(at.tolist(), bins.tolist(), sizes.tolist())]
+    place = at[owner] + (K.mix(grams) >> np.uint64(32)).astype(np.int64) % bins[owner]
+    packed = np.packbits((np.bincount(place, minlength=int(bins.sum())) & 1).astype(np.uint8), bitorder="little")
+    return [packed[a // 8 : (a + b) // 8].tobytes() if s else b"" for a, b, s in zip(at.tolist(), bins.tolist(), sizes.tolist())]
 
 
 def _opened(column: pa.Array, rows: np.ndarray, width: int) -> np.ndarray:
-    """Counts of sketches of one width (bytes) as a matrix."""
+    """Sketches of one width (bytes) as a matrix of bytes."""
     offsets = np.frombuffer(column.buffers()[1], np.int32)[column.offset :]
     data = np.frombuffer(column.buffers()[2], np.uint8)
-    packed = data[offsets[rows][:, None] + np.arange(width)]
-    out = np.empty((len(rows), 2 * width), np.uint8)
-    out[:, 0::2], out[:, 1::2] = packed & 15, packed >> 4
-    return out
+    return data[offsets[rows][:, None] + np.arange(width)]
 
 
-def _folded(counts: np.ndarray, bins: int) -> np.ndarray:
-    """Counts in fewer bins: bin numbers are taken modulo a power of two."""
-    return counts.reshape(len(counts), -1, bins).sum(1, dtype=np.uint8) & 15 if counts.shape[1] != bins else counts
+def _folded(sketch: np.ndarray, width: int) -> np.ndarray:
+    """Sketches in fewer bins, as whole words: bin numbers are taken modulo a power of two."""
+    if sketch.shape[1] != width:
+        sketch = np.bitwise_xor.reduce(sketch.reshape(len(sketch), -1, width), axis=1)
+    return np.ascontiguousarray(sketch).view(np.uint64)
 
 
 def _apart(one: np.ndarray, two: np.ndarray) -> np.ndarray:
-    """A lower bound of the symmetric difference from counts modulo 16."""
-    gap = (one - two) & 15
-    return np.minimum(gap, 16 - gap).sum(-1, dtype=np.int32)
+    """A lower bound of the symmetric difference: a gram of one set alone changes the parity of one bin."""
+    return np.bitwise_count(one ^ two).sum(-1, dtype=np.int64)
 
 
 def _sums(cells: np.ndarray, values: np.ndarray, n: int) -> np.ndarray:
@@ -374,8 +371,8 @@ def sift(num: int):
             widths = [np.diff(np.frombuffer(batch.column(c).buffers()[1], np.int32)[batch.column(c).offset :][: batch.num_rows + 1]) for c in (4, 5)]
             for left, right in {*zip(widths[0][keep].tolist(), widths[1][keep].tolist())}:
                 rows = np.flatnonzero(keep & (widths[0] == left) & (widths[1] == right))
-                bins = 2 * min(left, right)
-                gap = _apart(_folded(_opened(batch.column(4), rows, left), bins), _folded(_opened(batch.column(5), rows, right), bins))
+                width = min(left, right)
+                gap = _apart(_folded(_opened(batch.column(4), rows, left), width), _folded(_opened(batch.column(5), rows, right), width))
                 keep[rows] = gap <= most_different(one[rows] + two[rows], num)
             yield pa.RecordBatch.from_arrays([batch.column(0).filter(pa.array(keep)), batch.column(1).filter(pa.array(keep))], names=["a", "b"])
 
@@ -397,7 +394,7 @@ def across(num: int, nearest: bool):
             names = [np.array([r[1] for r in x], np.int64) for x in (left, right)]
             kinds = [np.array([r[2] for r in x], np.int64) for x in (left, right)]
             sizes = [np.array([r[3] for r in x], np.int64) for x in (left, right)]
-            bins = min((2 * len(r[4]) for r in held), default=0)
+            bins = min((8 * len(r[4]) for r in held), default=0)
             opened = [_folded_list([r[4] for r in x], bins) for x in (left, right)]
             for i in range(len(left)):
                 those = np.flatnonzero((kinds[1] != kinds[0][i]) & (100 * np.minimum(sizes[1], sizes[0][i]) >= num * np.maximum(sizes[1], sizes[0][i])))
@@ -424,12 +421,9 @@ def across(num: int, nearest: bool):
 
 
 def _folded_list(packed: list[bytes], bins: int) -> np.ndarray:
-    out = np.zeros((len(packed), bins), np.uint8)
+    out = np.zeros((len(packed), bins // 64), np.uint64)
     for i, x in enumerate(packed):
-        raw = np.frombuffer(x, np.uint8)
-        counts = np.empty((1, 2 * len(raw)), np.uint8)
-        counts[0, 0::2], counts[0, 1::2] = raw & 15, raw >> 4
-        out[i] = _folded(counts, bins)
+        out[i] = _folded(np.frombuffer(x, np.uint8)[None], bins // 8)[0]
     return out
 
 

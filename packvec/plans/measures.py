@@ -86,6 +86,12 @@ def memory(rows: int, d: int, bits: int, seg_bits: int, graph_degree: int = 16)
     return [("packed", words + d / 8), ("packed without low bits", float(words)), ("one word a dimension", d * seg_bits / 8), ("8 bit uniform", float(d)), ("product codes", d / 4), ("graph with full vectors", 4 * d + 4.0 * graph_degree), ("graph with codes", words + 4.0 * graph_degree)]
 
 
+def io(log: DataFrame, full_bytes: int) -> DataFrame:
+    """run_id, gets of index files, workers that held theirs and fetched none, full vectors read and their bytes (A09). log: see cost."""
+    each = log.groupBy("run_id").agg(F.sum("gets").alias("gets"), F.count_if(F.col("gets") == 0).alias("loads_avoided"), F.sum("full_reads").alias("full_reads"))
+    return each.withColumn("full_bytes", F.col("full_reads") * full_bytes)
+
+
 def cache_ratio_to_beat(seconds_by_ratio: dict[int, float], queries: int, qps: float) -> int | None:
     """Least duplication at which a cached search answers more queries a second than qps."""
     return min((r for r, s in seconds_by_ratio.items() if queries / s > qps), default=None)

@@ -8,10 +8,12 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def ensure_checkpoint_dir(spark: SparkSession) -> str:
-    """The cluster's checkpoint folder; one under /tmp only where none is set, as in tests."""
+    """The cluster's checkpoint folder; one under /tmp where none is set and all runs on one machine, as in tests."""
     context = spark.sparkContext
     found = context.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None)
     if not found:
+        if not context.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         found = f"/tmp/checkpoints/{uuid.uuid4().hex}"
     if not context.getCheckpointDir():
         context.setCheckpointDir(found)

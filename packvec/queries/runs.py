@@ -8,9 +8,9 @@ from pyspark.sql import functions as F
 
 from packvec.functions import vectors as v
 from packvec.plans import baselines, cost, dispatch, exact, index, measures, reuse, search, workloads
-from packvec.plans.shared import ensure_checkpoint_dir
-from packvec.queries import query
-from packvec.queries.methods import ALL, K, L2, PRED, PRED_SQL, SEARCH, E, built, hybrid, knn_sql, pass_counts, ranked
+from packvec.plans.shared import ensure_checkpoint_dir, stored
+from packvec.queries import QUERIES, SQL, query
+from packvec.queries.methods import ALL, HAM, K, L2, PRED, PRED_SQL, SEARCH, E, bit_allocation, built, hamming_pairs, hybrid, knn_sql, pass_counts, ranked
 from packvec.operators import select as sl
 from packvec.sources import tables as tb
 
@@ -115,6 +115,39 @@ def cache_duplication(spark, sf_dir):
     return spark.createDataFrame([(cache.hits + cache.misses, cache.misses, cache.hits)], "requests long, searched long, kept long")
 
 
+FACTORS = (1, 2, 4, 8, 10)
+
+
+def duplicated(queries, factor: int):
+    """Each query so many times, with ids of its own."""
+    copies = queries.select("query_id", "qvec", F.explode(F.sequence(F.lit(0), F.lit(factor - 1))).alias("c"))
+    return copies.select((F.col("query_id") * factor + F.col("c")).alias("query_id"), "qvec")
+
+
+@query(f"WITH n AS (SELECT count(*) FILTER (vec_id % 10 = 0) AS q FROM embeddings), f AS (SELECT unnest({list(FACTORS)!r})::INT AS factor) SELECT factor, factor * q AS requests, q AS searched, (factor - 1) * q AS kept FROM f, n")
+def cache_duplication_sweep(spark, sf_dir):
+    base, queries = hybrid(spark, sf_dir)
+    rows = []
+    for factor in FACTORS:
+        cache = reuse.ResultCache(spark, _folder(spark, "results"))
+        cache.search(duplicated(queries, factor), K, lambda q: exact.knn(q, base, K))
+        rows.append((factor, cache.hits + cache.misses, cache.misses, cache.hits))
+    return spark.createDataFrame(rows, "factor int, requests long, searched long, kept long")
+
+
+@query()
+def cache_ratio(spark, sf_dir):
+    """Seconds of an unfiltered scan with kept results by duplication, and the least one that beats the packed search's throughput."""
+    found, queries = built(spark, sf_dir, [])
+    base, _ = hybrid(spark, sf_dir)
+    n = queries.count()
+    qps = n / measures.timed(lambda: search.search(found, queries, K), 1)
+    run = lambda f: reuse.ResultCache(spark, _folder(spark, "results")).search(duplicated(queries, f), K, lambda q: exact.knn(q, base, K))
+    seconds = {f: measures.timed(lambda: run(f), 1) for f in FACTORS}
+    least = min((f for f in FACTORS if measures.cache_ratio_to_beat({f: seconds[f]}, n * f, qps)), default=None)
+    return spark.createDataFrame([(f, n * f, s, n * f / s, qps, least) for f, s in seconds.items()], "factor int, requests long, seconds double, qps double, packed_qps double, least_factor int")
+
+
 # Baselines
 
 
@@ -297,3 +330,75 @@ def appended_index(spark, sf_dir):
     half = index.build(base.where("vec_id % 2 = 1"), ["totalprice", "priority", "status"], index.Config(partitions=2, rounds=4))
     whole = index.append(half, base.where("vec_id % 2 = 0"))
     return search.search(whole, queries.withColumn("pred", F.lit(PRED)), K, ALL)
+
+
+RANKS = "rank() OVER (PARTITION BY query_id ORDER BY {0}) + (count(*) OVER (PARTITION BY query_id, {0}) - 1) / 2.0"
+
+
+@query(f"""WITH {HAM}, d AS (SELECT q.vec_id AS query_id, b.vec_id, {L2} AS dist FROM e q, e b WHERE q.vec_id % 10 = 0 AND b.vec_id % 10 <> 0),
+r AS (SELECT query_id, ham, dist, {RANKS.format('ham')} AS rh, {RANKS.format('dist')} AS rd FROM ham JOIN d USING (query_id, vec_id))
+SELECT query_id, round(corr(ham, dist), 4) AS pearson, round(corr(rh, rd), 4) AS spearman FROM r GROUP BY query_id""")
+def hamming_correlation(spark, sf_dir):
+    """How well distances of one-bit codes rank a query's rows by Euclidean distance."""
+    rows = tb.embeddings(spark, sf_dir)
+    ham = hamming_pairs(spark, sf_dir).join(rows.select("vec_id", "embedding"), "vec_id").join(rows.select(F.col("vec_id").alias("query_id"), F.col("embedding").alias("qvec")), "query_id")
+    pairs = ham.select("query_id", "ham", v.l2(F.col("qvec"), F.col("embedding")).alias("dist"))
+    return measures.rank_correlation(pairs, "ham", "dist").select("query_id", F.round("pearson", 4).alias("pearson"), F.round("spearman", 4).alias("spearman"))
+
+
+@query(f"""WITH a AS ({SQL['bit_allocation']}), n AS (SELECT count(*) * 1000 AS direct, (sum(cells) - 1)::BIGINT AS "table" FROM a) SELECT direct, "table", round(direct / "table", 6) AS ratio FROM n""")
+def lookup_savings(spark, sf_dir):
+    return measures.lookup_savings(bit_allocation(spark, sf_dir), 1000)
+
+
+@query(f"WITH {RUNLOG_SQL} SELECT run_id, sum(gets)::BIGINT AS gets, count(*) FILTER (gets = 0) AS loads_avoided, sum(full_reads)::BIGINT AS full_reads, (sum(full_reads) * 256)::BIGINT AS full_bytes FROM l GROUP BY run_id")
+def io_measure(spark, sf_dir):
+    return measures.io(runlog(spark, sf_dir), 256)
+
+
+@query(f"WITH s AS ({SQL['reach_threshold']}), n AS (SELECT query_id, count(*) AS n FROM s GROUP BY query_id) SELECT count(*) AS queries, round(avg(n), 6) AS mean_partitions, max(n) AS most_partitions FROM n")
+def partitions_visited(spark, sf_dir):
+    return measures.visited(QUERIES["reach_threshold"](spark, sf_dir))
+
+
+def _partitions(n: int):
+    @query(knn_sql(L2, PRED_SQL), f"search_{n}_partitions")
+    def run(spark, sf_dir):
+        found, queries = built(spark, sf_dir, ["totalprice", "priority", "status"], index.Config(partitions=n, rounds=4, balanced=False))
+        return search.search(found, queries.withColumn("pred", F.lit(PRED)), K, ALL)
+
+
+for _n in (10, 20):
+    _partitions(_n)
+
+
+@query(knn_sql(L2))
+def interleaved_search(spark, sf_dir):
+    """Two batches: the second is prepared while the first is searched; the answers are those of one batch."""
+    found, queries = built(spark, sf_dir, [], index.Config(partitions=2, rounds=4))
+    half = F.pmod(F.xxhash64("query_id"), F.lit(2))
+    answers = dispatch.interleaved([0, 1], lambda i: stored(queries.where(half == i), "batch"), lambda q: search.search(found, q, K, ALL))
+    return answers[0].unionByName(answers[1])
+
+
+@query()
+def throughput_by_solution(spark, sf_dir):
+    """All queries in one batch, mean of three runs, by solution: seconds, queries a second and recall."""
+    found, queries = built(spark, sf_dir, [])
+    base, _ = hybrid(spark, sf_dir)
+    service = baselines.ManagedService()
+    service.upsert(service.to_records(base, ["label"]))
+    truth = stored(exact.knn(queries, base, K), "truth")
+    solutions = {
+        "packed": lambda: search.search(found, queries, K),
+        "packed, no pruning": lambda: search.search(found, queries, K, search.Plan(hperc=100, policy="all")),
+        "one machine": lambda: baselines.single_node(found, queries, K, 4),
+        "managed service": lambda: service.query(queries, K, "label string"),
+        "product codes": lambda: baselines.product_search(base, queries, K, rerank=10),
+        "exact scan": lambda: exact.knn(queries, base, K),
+    }
+    n, rows = queries.count(), []
+    for name, run in solutions.items():
+        seconds = measures.timed(run)
+        rows.append((name, n, seconds, n / seconds, measures.recall(run(), truth, K).first()["recall"]))
+    return spark.createDataFrame(rows, "solution string, queries long, seconds double, qps double, recall double")

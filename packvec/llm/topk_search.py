@@ -1,22 +1,17 @@
-"""Operator 4: exact top-k inner products, by products of query blocks and row tiles.
+"""Operator 4: exact top-k inner products, by products of query groups and row batches.
 
-Rows are packed into tiles and queries into blocks, one matrix a row, so a block and a tile meet as a join of two small
-rows instead of a pair of vectors. Each task keeps the k best of every query it has met; these lists are merged by
-query. Products are of whole numbers below 2 ** 53 in double precision and so exact.
+Queries and rows meet on a grid (plans.tiles): a task holds a bounded group of queries and takes its rows batch by batch,
+so neither a join nor a batch carries a matrix, whatever the number of partitions. Each task keeps the k best of every
+query it holds; these lists are merged by query. Products are of whole numbers below 2 ** 53 in double precision and so
+exact.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
-import numpy as np
-import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-TILE, BLOCK = 2048, 1024
-#: Query blocks whose lists a task holds at once; beyond that it hands them on.
-HELD = 64
+from packvec.plans import tiles
 
 
 def whole_numbers(embedding: str, factor: int = 256):
@@ -29,72 +24,6 @@ def usable(embedding: str):
     return F.col(embedding).isNotNull() & (F.size(embedding) > 0) & ~bad
 
 
-def pack(batches: Iterator[pa.RecordBatch], rows: int) -> Iterator[pa.RecordBatch]:
-    """(id, v) rows into (dim, n, ids, m) rows of at most `rows` vectors of one length, ids ascending."""
-    for batch in batches:
-        lists = batch.column(1)
-        sizes = np.diff(np.asarray(lists.offsets))
-        values, ids = np.asarray(lists.flatten(), np.float64), np.asarray(batch.column(0), np.int64)
-        firsts = np.cumsum(sizes) - sizes
-        for dim in np.unique(sizes):
-            own = np.flatnonzero(sizes == dim)
-            own = own[np.argsort(ids[own], kind="stable")]
-            for at in range(0, len(own), rows):
-                part = own[at : at + rows]
-                matrix = values[(firsts[part][:, None] + np.arange(dim)).ravel()]
-                yield pa.RecordBatch.from_arrays([pa.array([int(dim)], pa.int32()), pa.array([len(part)], pa.int32()), pa.array([ids[part].tobytes()], pa.binary()), pa.array([matrix.tobytes()], pa.binary())], names=["dim", "n", "ids", "m"])
-
-
-PACKED = "dim int, n int, ids binary, m binary"
-
-
-def best_of(scores: np.ndarray, ids: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
-    """The k best of each row by score, ties to the smaller id. -inf counts as absent."""
-    if scores.shape[1] <= k:
-        return scores, np.broadcast_to(ids, scores.shape)
-    order = np.argsort(ids, kind="stable")
-    scores, ids = scores[:, order], ids[order]
-    last = -np.partition(-scores, k - 1, axis=1)[:, k - 1 : k]  # the k-th best score; of those equal to it the first are taken
-    above, level = scores > last, scores == last
-    taken = above | (level & (np.cumsum(level, 1) <= k - above.sum(1, keepdims=True)))
-    picked = np.nonzero(taken)[1].reshape(len(scores), k)
-    return np.take_along_axis(scores, picked, 1), ids[picked]
-
-
-def multiply(k: int):
-    """Joined rows of a tile and a query block into (query_id, vec_id, score), k a query and task."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: dict[bytes, tuple[np.ndarray, np.ndarray, np.ndarray]] = {}
-
-        def out():
-            for q, s, v in held.values():
-                keep = np.isfinite(s)
-                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(q, s.shape[1])[keep.ravel()]), pa.array(v[keep]), pa.array(s[keep].astype(np.int64))], names=["query_id", "vec_id", "score"])
-            held.clear()
-
-        for batch in batches:
-            for row in batch.to_pylist():
-                dim, ids, queries = row["dim"], np.frombuffer(row["ids"], np.int64), np.frombuffer(row["q_ids"], np.int64)
-                scores = np.frombuffer(row["q_m"], np.float64).reshape(-1, dim) @ np.frombuffer(row["m"], np.float64).reshape(-1, dim).T
-                if scores.size and np.abs(scores).max() >= 2.0**53:
-                    raise ValueError("a product of 2 ** 53 or more is not exact in double precision")
-                scores[queries[:, None] == ids[None, :]] = -np.inf
-                s, v = best_of(scores, ids, k)
-                name = row["q_ids"] + dim.to_bytes(4)
-                if name in held:
-                    _, s0, v0 = held[name]
-                    s, v = np.concatenate([s0, s], 1), np.concatenate([v0, v], 1)
-                    order = np.lexsort((v, -s), axis=1)[:, :k]
-                    s, v = np.take_along_axis(s, order, 1), np.take_along_axis(v, order, 1)
-                elif len(held) >= HELD:
-                    yield from out()
-                held[name] = (queries, s, v)
-        yield from out()
-
-    return run
-
-
 def search(queries: DataFrame, rows: DataFrame, k: int = 5, id: str = "vec_id", embedding: str = "embedding") -> DataFrame:
     """query_id, rank, vec_id, score: the k rows with the largest products for each query, a row with its id left out.
 
@@ -103,17 +32,10 @@ def search(queries: DataFrame, rows: DataFrame, k: int = 5, id: str = "vec_id",
     fewer candidates gets all of them; queries that share an id and a vector give one list; repeated rows are
     candidates of their own; other columns are not looked at; an empty side gives an empty result.
     """
-    def clean(df: DataFrame) -> DataFrame:
-        return df.where(usable(embedding) & F.col(id).isNotNull()).select(F.col(id).cast("long").alias("id"), whole_numbers(embedding).alias("v"))
+    def clean(df: DataFrame, key: str, vector: str) -> DataFrame:
+        return df.where(usable(embedding) & F.col(id).isNotNull()).select(F.col(id).cast("long").alias(key), whole_numbers(embedding).alias(vector))
 
-    tiles = clean(rows).mapInArrow(lambda it: pack(it, TILE), PACKED)
-    blocks = clean(queries).distinct().mapInArrow(lambda it: pack(it, BLOCK), PACKED).select("dim", F.col("ids").alias("q_ids"), F.col("m").alias("q_m"))
-    spark = rows.sparkSession
-    parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 1)
-    # Tiles are dealt at random and meet every block of their dimension: a stated query set against all rows, in blocks.
-    spread = tiles.withColumn("_part", F.pmod(F.xxhash64("ids"), F.lit(parts)))
-    everywhere = blocks.withColumn("_part", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(parts - 1).cast("long"))))
-    met = spread.join(everywhere, ["_part", "dim"]).select("dim", "ids", "m", "q_ids", "q_m")
-    lists = met.mapInArrow(multiply(k), "query_id long, vec_id long, score long")
-    ranked = lists.withColumn("rank", F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), F.asc("vec_id"))))
+    lists = tiles.meet(clean(queries, "query_id", "qvec").distinct(), clean(rows, "vec_id", "embedding"), tiles.nearest(k, "dot", other=True, whole=True), tiles.FOUND)
+    scored = lists.select("query_id", "vec_id", (-F.col("dist")).cast("long").alias("score"))
+    ranked = scored.withColumn("rank", F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), F.asc("vec_id"))))
     return ranked.where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")

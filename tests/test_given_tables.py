@@ -20,3 +20,13 @@ def test_reads_orders_and_agrees_with_its_sql(spark, sf_dir, name):
         rows = want.fetchall()
     assert sorted(names) == sorted(found.columns)
     assert sorted(map(repr, rows)) == sorted(repr(tuple(r)) for r in found.select(*names).collect())
+
+
+def test_text_vectors_take_their_length_once(spark):
+    from packvec.functions.vectors import text_vectors
+
+    df = spark.createDataFrame([(1, "a b a"), (2, "A, b. b!"), (3, " ,. "), (4, None)], "id int, text string")
+    found = text_vectors(df, "id", "text", 8, "e")
+    assert "aggregate(" not in found._jdf.queryExecution().toString()
+    got = {r["id"]: r["e"] for r in found.collect()}
+    assert sorted(got) == [1, 2] and all(abs(sum(x * x for x in e) - 1) < 1e-12 for e in got.values())

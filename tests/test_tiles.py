@@ -94,3 +94,15 @@ def test_whole_products(spark):
     assert "SortMergeJoin" not in topk_search.search(df, df, 5)._jdf.queryExecution().toString()
     with pytest.raises(Exception, match="not exact"):
         topk_search.search(*[spark.createDataFrame([(0, [1e7, 1e7], 0), (1, [1e7, 1e7], 0)], ROWS)] * 2).collect()
+
+
+def test_best_sorts_only_the_queries_that_get_rows(monkeypatch):
+    sorted_ = []
+    real = np.lexsort
+    monkeypatch.setattr(tiles.np, "lexsort", lambda keys: sorted_.append(len(keys[0])) or real(keys))
+    best = tiles.Best(tiles.Side(0, np.arange(100), np.zeros((100, 2))), 3)
+    best.add(np.repeat(np.arange(100), 4), np.tile([4.0, 3.0, 2.0, 1.0], 100), np.tile([4, 3, 2, 1], 100))
+    best.add(np.array([51, 50, 50]), np.array([0.5, 2.5, 3.0]), np.array([9, 8, 0]))
+    assert sorted_ == [400, 9]
+    assert best.q.tolist() == np.repeat(np.arange(100), 3).tolist() and best.worst[[49, 50, 51, 52]].tolist() == [3, 2.5, 2, 3]
+    assert best.ids.reshape(100, 3)[49:53].tolist() == [[1, 2, 3], [1, 2, 8], [9, 1, 2], [1, 2, 3]]

@@ -140,3 +140,10 @@ def test_append(small):
     assert pairs(search.search(whole, queries.withColumn("pred", F.lit(PRED)), 5, plan)) == pairs(exact.knn(queries, base, 5, predicate=PRED))
     with pytest.raises(ValueError):
         index.append(some, base.withColumn("status", F.lit("new")))
+
+
+def test_recall_measure_searches_once(spark, sf_dir):
+    from packvec.queries import runs
+
+    found = runs.recall_measure(spark, sf_dir)
+    assert "MapInArrow" not in found._jdf.queryExecution().toString() and found.first()["recall"] == 0.5

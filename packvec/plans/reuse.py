@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from packvec.plans import index as ix
 from packvec.plans import search as se
+from packvec.plans.shared import stored
 
 
 class Retainer:
@@ -65,7 +66,7 @@ class ResultCache:
         keyed = se.with_predicates(queries).withColumn("k", F.lit(k)).withColumn("key", F.sha2(F.to_json(F.struct("qvec", "pred", "k")), 256))
         have = self.entries()
         new = keyed.join(have.select("key").distinct(), "key", "left_anti")
-        once = new.groupBy("key").agg(F.min("query_id").alias("query_id"), F.first("qvec").alias("qvec"), F.first("pred").alias("pred"))
+        once = stored(new.groupBy("key").agg(F.min("query_id").alias("query_id"), F.first("qvec").alias("qvec"), F.first("pred").alias("pred")), "requests")
         total, fresh = keyed.count(), once.count()
         self.hits, self.misses = self.hits + total - fresh, self.misses + fresh
         if fresh:

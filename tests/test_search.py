@@ -142,6 +142,20 @@ def test_append(small):
         index.append(some, base.withColumn("status", F.lit("new")))
 
 
+def test_requests_are_keyed_once(spark, small, tmp_path):
+    """What a cache's search runs on is read again, not hashed again in each of its jobs."""
+    base, queries, _ = small
+    seen = []
+
+    def run(q):
+        seen.append(q._jdf.queryExecution().toString())
+        return exact.knn(q, base, 3)
+
+    cache = reuse.ResultCache(spark, str(tmp_path / "results"))
+    assert pairs(cache.search(queries.unionByName(queries.withColumn("query_id", F.col("query_id") + 1)), 3, run).where("query_id % 20 = 0")) == pairs(exact.knn(queries, base, 3))
+    assert len(seen) == 1 and "sha2" not in seen[0] and cache.hits == cache.misses == queries.count()
+
+
 def test_recall_measure_searches_once(spark, sf_dir):
     from packvec.queries import runs
 

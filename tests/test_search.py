@@ -161,3 +161,26 @@ def test_recall_measure_searches_once(spark, sf_dir):
 
     found = runs.recall_measure(spark, sf_dir)
     assert "MapInArrow" not in found._jdf.queryExecution().toString() and found.first()["recall"] == 0.5
+
+
+def test_places_of_the_nearest_codes_and_least_bounds():
+    rng = np.random.default_rng(3)
+    for width in (1, 2):
+        words, query = rng.integers(0, 4, (500, width)).astype(np.uint64), rng.integers(0, 4, width).astype(np.uint64)
+        ham = np.bitwise_count(words ^ query).sum(1)
+        for left in (1, 7, 250, 499):
+            assert search.nearest_codes(words, query, left).tolist() == sorted(np.lexsort((np.arange(500), ham))[:left].tolist())
+    bound = rng.integers(0, 9, 300) / 2
+    for n in (1, 20, 299, 300, 400):
+        assert search.least(bound, n).tolist() == np.lexsort((np.arange(300), bound))[:n].tolist()
+
+
+def test_queries_of_one_chunk_are_split_over_tasks(spark, small):
+    base, queries, _ = small
+    one = index.build(base, [], index.Config(partitions=1, rounds=4))
+    many = queries.crossJoin(spark.range(40).withColumnRenamed("id", "c")).select((F.col("query_id") * 40 + F.col("c")).alias("query_id"), "qvec")
+    assert search.slices(many, 1) > 1 and search.slices(queries, 1) == 1
+    plan = search.Plan(hperc=100, policy="all", exact_stop=True)
+    got = search.search(one, many, 5, plan)
+    assert "slice" in got._jdf.queryExecution().toString()
+    assert pairs(got) == pairs(exact.knn(many, base, 5))

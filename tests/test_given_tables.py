@@ -30,3 +30,21 @@ def test_text_vectors_take_their_length_once(spark):
     assert "aggregate(" not in found._jdf.queryExecution().toString()
     got = {r["id"]: r["e"] for r in found.collect()}
     assert sorted(got) == [1, 2] and all(abs(sum(x * x for x in e) - 1) < 1e-12 for e in got.values())
+
+
+def test_lines_are_numbered_range_by_range(spark, sf_dir):
+    import duckdb
+
+    from packvec.sources import tables
+
+    line = tables.load(spark, sf_dir, "lineitem")
+    by = sorted(line.columns)
+    found = tables.numbered(line, "n", *by)
+    assert "PARTITION BY _range" in found._jdf.queryExecution().toString() or "windowspecdefinition(_range" in found._jdf.queryExecution().toString()
+    with duckdb.connect() as c:
+        want = c.execute(f"SELECT {', '.join(by)} FROM read_parquet('{sf_dir}/lineitem.parquet') ORDER BY {', '.join(by)}").fetchall()
+    got = found.orderBy("n").select("n", *by).collect()
+    assert [r["n"] for r in got] == list(range(len(want))) and [tuple(r)[1:] for r in got] == want
+    assert tables.numbered(line.where("false"), "n", *by).count() == 0
+    lines = tables.lineitem_vl(spark, sf_dir)
+    assert lines.schema["vec_id"].dataType.simpleString() == "bigint" and lines.count() == len(want)

@@ -106,3 +106,69 @@ def test_best_sorts_only_the_queries_that_get_rows(monkeypatch):
     assert sorted_ == [400, 9]
     assert best.q.tolist() == np.repeat(np.arange(100), 3).tolist() and best.worst[[49, 50, 51, 52]].tolist() == [3, 2.5, 2, 3]
     assert best.ids.reshape(100, 3)[49:53].tolist() == [[1, 2, 3], [1, 2, 8], [9, 1, 2], [1, 2, 3]]
+
+
+def by_codes(x, ids, books, queries, most, k):
+    """Plainly: the k nearest of the most rows of least asymmetric distance, by query."""
+    parts = np.array_split(np.arange(x.shape[1]), len(books))
+    codes = [np.array([((v[p] - b) ** 2).sum(1).argmin() for v in x]) for p, b in zip(parts, books)]
+    out = {}
+    for q in queries:
+        adc = np.zeros(len(ids))
+        for p, b, c in zip(parts, books, codes):
+            adc += ((x[q][p] - b) ** 2).sum(1)[c]
+        some = [i for _, i in sorted((a, i) for a, i in zip(adc.round(12), ids) if i % 10)[:most]]
+        out[q] = [i for _, i in sorted((round(float(np.sqrt(((x[q] - x[i]) ** 2).sum())), 9), i) for i in some)[:k]]
+    return out
+
+
+def got_lists(found):
+    out = {}
+    for r in found.orderBy("query_id", "rank").collect():
+        out.setdefault(r["query_id"], []).append(r["vec_id"])
+    return out
+
+
+@pytest.mark.parametrize("most", [4, 200, 400, 900])
+def test_product_search_takes_codes_and_shortlist_at_every_size(spark, monkeypatch, most):
+    """Also where the shortlist holds the table or ends among rows that share a code."""
+    x = np.random.default_rng(2).standard_normal((600, 5)).round(2)
+    x[100:400] = np.repeat(x[:3], 100, axis=0) + np.random.default_rng(3).integers(0, 2, (300, 5)) / 1000  # near copies, few codes
+    df = spark.createDataFrame([(i, [float(c) for c in v], 0) for i, v in enumerate(x)] + [(1001, None, 0), (1002, [float("nan")] * 5, 0)], ROWS)
+    base, queries = sides(df)
+    books, real = [], baselines.product_codebooks
+    monkeypatch.setattr(baselines, "product_codebooks", lambda *a: books.append(real(*a)) or books[-1])
+    got = got_lists(baselines.product_search(base, queries, 4, m=2, bits=2, rerank=most / 4))
+    assert len(books) == 1 and got == by_codes(x, range(600), books[0], range(0, 600, 10), most, 4)
+
+
+def test_product_search_without_rows(spark):
+    df, _ = table(spark)
+    base, queries = sides(df)
+    assert baselines.product_search(base.where("false"), queries, 3).count() == 0
+    assert baselines.product_search(base, queries.where("false"), 3).count() == 0
+
+
+def test_shortlist_is_not_written_out(spark):
+    """The tasks of the last pass give the k nearest, not rerank * k rows a query."""
+    df, _ = table(spark)
+    base, queries = sides(df)
+    plan = baselines.product_search(base, queries, 3, m=2, bits=2, rerank=60)._jdf.queryExecution().toString()
+    assert "adc" not in plan and "Join" not in plan
+
+
+def test_cuts_end_where_the_nth_row_is(spark):
+    rng = np.random.default_rng(5)
+    x = np.repeat(rng.standard_normal((20, 4)), 60, axis=0)  # 60 rows a score
+    df = spark.createDataFrame([(i * 7 - 3000, [float(c) for c in v], 0) for i, v in enumerate(x)], ROWS)
+    queries = spark.createDataFrame([(i, [float(c) for c in v]) for i, v in enumerate(rng.standard_normal((5, 4)))], "query_id long, qvec array<double>")
+    scores = tiles.Scores([x[::60][:, :2], x[::60][:, 2:]], [np.arange(2), np.arange(2, 4)])
+    for n in (1, 61, 700):
+        cuts = tiles.cuts(queries, df, n, scores)
+        for r in queries.collect():
+            tables = scores.tables(np.array([r["qvec"]]))
+            score = tiles.looked_up(tables, scores.codes(x))[:, 0].view(np.uint64)
+            place = tiles.places(np.arange(1200) * 7 - 3000)
+            at = cuts.at(np.array([r["query_id"]]))[0]
+            up = (score < cuts.score[at]) | ((score == cuts.score[at]) & (place <= cuts.place[at]))
+            assert up.sum() == n and np.flatnonzero(up).tolist() == sorted(np.lexsort((place, score))[:n].tolist())

@@ -172,3 +172,13 @@ def test_cuts_end_where_the_nth_row_is(spark):
             at = cuts.at(np.array([r["query_id"]]))[0]
             up = (score < cuts.score[at]) | ((score == cuts.score[at]) & (place <= cuts.place[at]))
             assert up.sum() == n and np.flatnonzero(up).tolist() == sorted(np.lexsort((place, score))[:n].tolist())
+
+
+def test_rounds_share_one_grid(spark, monkeypatch):
+    """Queries and rows are dealt once for all rounds and once for the last pass, so disk does not grow with the rounds."""
+    df, _ = table(spark)
+    base, queries = sides(df)
+    dealt, real = [], tiles.cells
+    monkeypatch.setattr(tiles, "cells", lambda *a: dealt.append(real(*a)) or dealt[-1])
+    assert baselines.product_search(base, queries, 3, m=2, bits=2, rerank=60).count() == 90
+    assert len(dealt) == 2 and not any(d.is_cached for d in dealt)

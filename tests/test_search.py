@@ -131,6 +131,18 @@ def test_profile_takes_all_held_out_queries(spark, monkeypatch):
     assert list(got.values()) == pytest.approx([want, want], abs=1e-4)
 
 
+def test_recall_by_pruning_says_how_many_partitions_are_visited(spark, sf_dir):
+    from packvec.plans import workloads
+
+    rows = workloads.recall_by_pruning(spark, sf_dir).collect()
+    assert rows[0].__fields__ == ["partitions", "hperc", "recall", "visited"] and len(rows) == 6
+    base, queries = tables.base_and_queries(tables.embeddings(spark, sf_dir))
+    found = index.build(base, [], index.Config(partitions=4, rounds=8))
+    n = search.funnel(found, queries, 10, search.Plan(hperc=100)).agg(F.avg("n_visited")).first()[0]
+    assert {r["visited"] for r in rows if r["partitions"] == 1} == {1.0}
+    assert {r["visited"] for r in rows if r["partitions"] == 4} == {round(n, 6)} and 1 <= n <= 4
+
+
 def test_append(small):
     base, queries, _ = small
     cfg = index.Config(partitions=2, rounds=3)

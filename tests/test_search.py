@@ -131,6 +131,21 @@ def test_profile_takes_all_held_out_queries(spark, monkeypatch):
     assert list(got.values()) == pytest.approx([want, want], abs=1e-4)
 
 
+def test_profile_takes_all_documents(spark, tmp_path):
+    """Also those without a token, and those whose tokens cancel."""
+    from packvec.plans import workloads
+
+    d, texts = str(tmp_path), [None, "", " .,;", "one", *(f"word{i % 7} word{i % 11} tail{i}" for i in range(96))]
+    spark.createDataFrame([(i, t, "en", "web", len(t or "")) for i, t in enumerate(texts)], "doc_id long, text string, lang string, source string, n_chars long").write.parquet(f"{d}/documents.parquet")
+    spark.createDataFrame([(3, 1, 0)], "doc_id long, quality int, toxic int").write.parquet(f"{d}/labels.parquet")
+    tables.embeddings(spark, "/root/testdata/sf0.001").write.parquet(f"{d}/embeddings.parquet")
+    rows = {r["vec_id"]: r for r in tables.documents_vd(spark, d, 16).collect()}
+    assert sorted(rows) == list(range(100)) and rows[3]["quality"] == 1 and rows[0]["lang"] == "en"
+    assert all(rows[i]["embedding"] == [0.0] * 16 for i in range(3))
+    assert all(sum(x * x for x in rows[i]["embedding"]) == pytest.approx(1) or rows[i]["embedding"] == [0.0] * 16 for i in range(100))
+    assert {r["name"]: r["n"] for r in workloads.dataset_profile(spark, d).collect()}["documents 64"] == 100
+
+
 def test_recall_by_pruning_says_how_many_partitions_are_visited(spark, sf_dir):
     from packvec.plans import workloads
 
